@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densekeys.llm import bpe, exact_dedup, quality, tiff, toxicity, url_filter
+from densekeys.llm import bpe, exact_dedup, packing, quality, tiff, toxicity, url_filter, warc
 
 VOCABULARY = "word_bpe_49k.json"
 
@@ -27,6 +27,11 @@ def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tiff.text_media(_table(spark, sf_dir, "documents"))
 
 
+def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = warc.derive_pages(_table(spark, sf_dir, "pages"))
+    return rows.withColumn("record_bytes", F.octet_length("record").cast("long")).drop("record")
+
+
 def op7_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.DigestIndex.create(spark).dedup(_table(spark, sf_dir, "documents"))
 
@@ -39,13 +44,19 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encoding_digests(_table(spark, sf_dir, "documents"), public_tokenizers.path(VOCABULARY))
 
 
+def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack_documents(_table(spark, sf_dir, "documents"), public_tokenizers.path(VOCABULARY))
+
+
 QUERIES = {
     "op2_quality": op2_quality,
     "op3_url_filters": op3_url_filters,
     "op5_media_columns": op5_media_columns,
+    "op6_warc": op6_warc,
     "op7_exact_dedup": op7_exact_dedup,
     "op8_toxicity": op8_toxicity,
     "op9_bpe": op9_bpe,
+    "op10_packing": op10_packing,
 }
 
 ORACLES = {
