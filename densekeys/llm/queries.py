@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densekeys.llm import bpe, exact_dedup, packing, quality, suffix_dedup, tiff, toxicity, url_filter, warc
+from densekeys.llm import bpe, exact_dedup, ngram_join, packing, quality, suffix_dedup, tiff, toxicity, url_filter, warc
 
 VOCABULARY = "word_bpe_49k.json"
 
@@ -27,6 +27,10 @@ def op3_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.filter_urls(_table(spark, sf_dir, "pages"))
 
 
+def op4_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.near_groups(_table(spark, sf_dir, "documents"))
+
+
 def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tiff.text_media(_table(spark, sf_dir, "documents"))
 
@@ -56,6 +60,7 @@ QUERIES = {
     "op1_suffix_dedup": op1_suffix_dedup,
     "op2_quality": op2_quality,
     "op3_url_filters": op3_url_filters,
+    "op4_ngram_join": op4_ngram_join,
     "op5_media_columns": op5_media_columns,
     "op6_warc": op6_warc,
     "op7_exact_dedup": op7_exact_dedup,
