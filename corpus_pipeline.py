@@ -1,15 +1,72 @@
-"""The corpus pipeline (stages are added below as their operators are done)."""
+"""The corpus pipeline: toxicity, exact dedup, near dedup, shared passages, packing.
+
+Each stage takes the documents that its predecessor kept, and all but the last return the columns of
+`documents`. The pipeline writes every stage's result and reads it again for the next."""
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from densekeys.llm import exact_dedup, ngram_join, packing, suffix_dedup, toxicity
+from densekeys.llm.common import written
 
-STAGES: list = []
+VOCABULARY = "word_bpe_49k.json"
+#: No SQL can express the classifier; tests/llm checks the stages against brute force.
 ORACLE_SQL = None
 
 
+def _kept(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows of `docs` whose doc_id is in `ids` (one column doc_id, no nulls), columns in their order."""
+    return docs.join(ids, "doc_id", "left_semi").select(*docs.columns)
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier, fitted on the labelled documents of the input, rejects go; documents without an id stay only in the clean."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    scored = toxicity.flagged(docs, toxicity.fit_on(docs, labels))
+    return scored.where(F.col("score") < 0.5).select(*docs.columns)
+
+
+def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of equal texts one document stays, and of repeated rows one. Documents without an id are told apart by nothing and go."""
+    verdicts = exact_dedup.DigestIndex.create(spark).dedup(docs)
+    return _kept(docs, verdicts.where("kept and doc_id is not null").select("doc_id")).dropDuplicates(["doc_id", "text"])
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The smallest document of each group of near copies stays."""
+    groups = ngram_join.near_groups(docs)
+    return _kept(docs, groups.where("doc_id = component_id").select("doc_id"))
+
+
+def cut_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Passages that a smaller document holds are cut out, to whole characters; a document of which nothing stays keeps its row with an empty text."""
+    cut = suffix_dedup.remove_repeats(docs).where("n_removed > 0").select("doc_id", F.col("kept").cast("string").alias("cut_text"))
+    cut = written(cut.dropDuplicates(["doc_id"]), "cut-texts")
+    text = F.coalesce("cut_text", "text")
+    return docs.join(cut, "doc_id", "left").withColumn("text", text).withColumn("n_chars", F.when(F.col("cut_text").isNotNull(), F.length("cut_text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+
+
+def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The kept texts packed into sequences."""
+    return packing.pack_documents(docs, public_tokenizers.path(VOCABULARY))
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("exact_dedup", drop_copies),
+    ("near_dedup", drop_near_copies),
+    ("passages", cut_passages),
+    ("packing", pack_sequences),
+]
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
+        if k < len(STAGES) - 1:
+            docs = written(docs, name)
     return docs

@@ -19,6 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from densekeys.llm.common import id_and_text, mix64, text_bytes
 from densekeys.llm.training import Adam, held_out, labelled_sample, sigmoid
@@ -215,6 +216,20 @@ def apply_model(docs: DataFrame, model: ToxicityModel | None, id_col: str = "doc
     return id_and_text(docs, id_col, text_col).mapInArrow(run, "doc_id long, score double")
 
 
+def flagged(docs: DataFrame, model: ToxicityModel | None, text_col: str = "text", score_col: str = "score") -> DataFrame:
+    """All columns of `docs` with the score of the text, in one pass: no join can lose or double rows."""
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    at = docs.columns.index(text_col)
+
+    def run(batches):
+        for batch in batches:
+            texts = text_bytes(batch.column(at))
+            score = np.zeros(len(texts)) if shared.value is None else shared.value.score(texts)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(score, pa.float64())], [*batch.schema.names, score_col])
+
+    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(score_col, T.DoubleType())]))
+
+
 def score_documents(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, modulus: int = 5, remainder: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     model = fit_on(docs, labels, per_class, modulus, remainder, id_col, text_col)
     scored = apply_model(docs, model, id_col, text_col)
