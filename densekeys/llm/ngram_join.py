@@ -21,20 +21,23 @@ words than a shingle are one shingle as a whole; a null id takes part in no link
 
 from __future__ import annotations
 
+import uuid
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from densekeys.llm.common import mix64, seeded_words, written
+from densekeys.llm.common import fresh_path, mix64, seeded_words, written
 from densekeys.llm.components import components
 from densekeys.llm.sharing import NO_ID, Parts, answered, codes_of
 from densekeys.llm.words import blocks, hashed_words
 
 WORDS = 5
-GROUPS = 32
+GROUPS = 128
 LEAF, FAN = 8, 8
 BLOCK_NODES = 20_000
+PAIRS_TOGETHER = 5_000
 PLACE = seeded_words(23, WORDS) | np.uint64(1)
 PREFIX_SCHEMA = "doc_id long, n_shingles long, candidate boolean, print_a long, print_b long, counts binary, shared binary, rarest array<long>"
 
@@ -108,7 +111,8 @@ def receive(part: int, ids: np.ndarray, texts: list[bytes], buckets: int, answer
         seen.add(key)
         order = np.lexsort((held, rank[rank > 0]))
         rarest = held[order[: len(held) - least + 1]].astype(np.int64)
-        counts = np.bincount((held >> np.uint64(59)).astype(int), minlength=GROUPS).astype(np.uint32)
+        counts = np.bincount((held % np.uint64(GROUPS)).astype(int), minlength=GROUPS)
+        counts = counts.astype(np.uint16 if counts.max() < 1 << 16 else np.uint32)
         rows.append((doc, n, True, key[1], key[2], counts.tobytes(), held.tobytes(), rarest))
     kinds = (pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64()))
     return pa.table([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * 8, kinds, strict=True)], names=[x.split()[0] for x in PREFIX_SCHEMA.split(", ")])
@@ -163,7 +167,7 @@ def block_pairs(batches):
 
     def pairs(rows: list[tuple]):
         docs, sizes, labels = (np.array([r[k] for r in rows], np.int64) for k in (2, 3, 4))
-        counts = np.frombuffer(b"".join(r[5] for r in rows), np.uint32).reshape(len(rows), GROUPS)
+        counts = np.stack([np.frombuffer(r[5], np.uint16 if len(r[5]) == 2 * GROUPS else np.uint32) for r in rows]).astype(np.uint32)
         tree = CountTree(counts, sizes)
         for i in (k for k, r in enumerate(rows) if r[6]):
             for j in tree.search(counts[i].astype(np.int64), int(sizes[i])).tolist():
@@ -190,8 +194,11 @@ def block_pairs(batches):
     yield emit(found)
 
 
-def verified(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """The pairs whose sets overlap by at least three quarters."""
+def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The pairs whose sets overlap by at least three quarters.
+
+    `sets` is bucketed by doc_id, so only pairs travel to it. The set of b goes to its pair; that of a, which may
+    be in very many, is copied once for PAIRS_TOGETHER of them."""
 
     def check(batches):
         for batch in batches:
@@ -200,10 +207,14 @@ def verified(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array([x[k] for k in keep], pa.int64()) for x in (a, b)], ["a", "b"])
 
     def side(name: str) -> DataFrame:
-        return nodes.select(F.col("doc_id").alias(name), F.col("n_shingles").alias(f"n{name}"), F.col("shared").alias(f"s{name}"))
+        return sets.where("shared is not null").select(F.col("doc_id").alias(name), F.col("n_shingles").alias(f"n{name}"), F.col("shared").alias(f"s{name}"))
 
+    copies = F.ceil(F.count(F.lit(1)) / PAIRS_TOGETHER).cast("int")
+    often = written(pairs.groupBy("a").agg(copies.alias("copies")), "pair-heads")
+    heads = often.join(side("a"), "a").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("copies") - 1))).drop("copies")
+    told = pairs.join(often, "a").withColumn("copy", F.pmod(F.xxhash64("b"), F.col("copies")).cast("int")).drop("copies")
     fits = (4 * F.col("nb") >= 3 * F.col("na")) & (4 * F.col("na") >= 3 * F.col("nb"))
-    joined = pairs.join(side("a"), "a").join(side("b"), "b").where(fits)
+    joined = told.join(side("b"), "b").join(heads, ["a", "copy"]).where(fits)
     return joined.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(check, "a long, b long").distinct()
 
 
@@ -211,14 +222,20 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """doc_id, n_shingles, component_id of every document."""
     spark = docs.sparkSession
     tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    prefixes = written(answered(Parts(docs, id_col, text_col), send, merge, receive, PREFIX_SCHEMA), "shingles")
+    parts = Parts(docs, id_col, text_col)
+    table = f"shingle_sets_{uuid.uuid4().hex}"
+    found = answered(parts, send, merge, receive, PREFIX_SCHEMA)
+    found.write.format("parquet").bucketBy(parts.parts, "doc_id").option("path", fresh_path(spark, "shingle-sets")).saveAsTable(table)
+    sets = spark.table(table)
     equal = ["n_shingles", "print_a", "print_b"]
-    candidates = prefixes.where("candidate").select("doc_id", *equal)
+    candidates = sets.where("candidate").select("doc_id", *equal)
     # a set is kept once for each part, so the node of equal sets is the smallest id that came with one
     heads = written(
-        prefixes.where("candidate").groupBy(*equal).agg(F.min(F.when(F.col("shared").isNotNull(), F.col("doc_id"))).alias("node"), F.min("doc_id").alias("least")), "heads"
+        sets.where("candidate").groupBy(*equal).agg(F.min(F.when(F.col("shared").isNotNull(), F.col("doc_id"))).alias("node"), F.min("doc_id").alias("least")), "heads"
     )
-    nodes = written(prefixes.where("shared is not null").join(heads.select(F.col("node").alias("doc_id"), *equal), ["doc_id", *equal], "left_semi").drop("candidate", "print_a", "print_b"), "nodes")
+    is_node = heads.select(F.col("node").alias("doc_id"), F.col("print_a").alias("of_a"), F.col("print_b").alias("of_b"))
+    nodes = sets.where("shared is not null").drop("shared", "candidate").join(is_node, "doc_id").where("print_a = of_a and print_b = of_b")
+    nodes = written(nodes.select("doc_id", "n_shingles", "counts", "rarest"), "nodes")
     holders = nodes.select("doc_id", F.explode("rarest").alias("shingle"))
     first = written(holders.groupBy("shingle").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1"), "block-heads")
     stars = (
@@ -229,11 +246,11 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         .groupBy("doc_id")
         .agg(F.max_by("first", F.struct("count", -F.col("first"))).alias("first"))
     )
-    links = written(verified(written(stars.select(F.col("first").alias("a"), F.col("doc_id").alias("b")), "stars"), nodes), "star-links")
+    links = written(verified(written(stars.select(F.col("first").alias("a"), F.col("doc_id").alias("b")), "stars"), sets), "star-links")
     labels = components(links)
 
     held = nodes.join(labels.withColumnRenamed("vertex", "doc_id"), "doc_id", "left").select(
-        "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component"), "counts", F.explode("rarest").alias("shingle")
+        "doc_id", F.coalesce("component", "doc_id").alias("component"), F.explode("rarest").alias("shingle")
     )
     held = written(held.join(first.select("shingle"), "shingle", "left_semi"), "holders")
     by_label = held.groupBy("shingle", "component").agg(F.count(F.lit(1)).alias("n"))
@@ -244,9 +261,10 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     outside = F.col("component") != F.col("major")
     split = F.ceil(F.col("n") / block_nodes).cast("int")
     task = F.when(outside, F.sequence(F.lit(0), split - 1)).otherwise(F.array(F.pmod(F.xxhash64("doc_id"), split).cast("int")))
-    looked = held.join(mixed, "shingle").select("shingle", F.explode(task).alias("task"), "doc_id", "n_shingles", "component", "counts", outside.alias("query"))
+    looked = held.join(mixed, "shingle").select("shingle", F.explode(task).alias("task"), "doc_id", "component", outside.alias("query"))
+    looked = looked.join(nodes.select("doc_id", "n_shingles", "counts"), "doc_id").select("shingle", "task", "doc_id", "n_shingles", "component", "counts", "query")
     pairs = looked.repartition(tasks, "shingle", "task").sortWithinPartitions("shingle", "task").mapInArrow(block_pairs, "a long, b long").distinct()
-    more = written(verified(written(pairs, "pairs"), nodes), "links")
+    more = written(verified(written(pairs, "pairs"), sets), "links")
     if more.limit(1).count():
         labels = components(links.unionByName(more))
 
@@ -255,4 +273,4 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     least = named.groupBy("component").agg(F.min("least").alias("component_id"))
     groups = written(named.join(least, "component").select(*equal, "component_id"), "groups")
     known = candidates.join(groups, equal).groupBy("doc_id").agg(F.min("component_id").alias("component_id"))
-    return prefixes.select("doc_id", "n_shingles").join(known, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    return sets.select("doc_id", "n_shingles").join(known, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))

@@ -1,6 +1,7 @@
 """Which fingerprints do several documents share: the exchange that duplicate search and suffix sorting start from.
 
-Documents are dealt to parts of about PART_BYTES by a hash of their content. A part turns its documents into
+Documents are dealt to parts of about PART_BYTES by the hash that Spark's bucketed tables use, of the id, or of
+the text where the id is null, so that what a part writes for a document lies in the bucket of its id. A part turns its documents into
 sets of 64-bit fingerprints and sends each bucket of the fingerprint space one compressed block: the sorted
 32-bit codes that the part holds in the bucket, with whatever is to be merged. The bucket answers every
 part with one compressed block in the order of the part's codes. Nothing is exploded to rows, and nothing
@@ -54,7 +55,7 @@ class Parts:
         tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         self.parts = max(tasks, -(-size // part_bytes))
         self.buckets = max(tasks, self.parts // 4)
-        key = F.pmod(F.xxhash64("doc_id", "text"), F.lit(self.parts))
+        key = F.pmod(F.hash(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(self.parts)).cast("long")
         self.blobs = rows.withColumn("part", key).mapInArrow(packed, BLOB_SCHEMA)
 
 
