@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from densekeys.llm.common import id_and_text, text_bytes
 
-PART_BYTES = 8 << 20
+PART_BYTES = 6 << 20
 NO_ID = np.iinfo(np.int64).max
 BLOB_SCHEMA = "part long, ids binary, sizes binary, texts binary"
 
@@ -54,7 +54,7 @@ class Parts:
         size = rows.agg(F.sum(F.octet_length("text")).alias("size")).first()["size"] or 0
         tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         self.parts = max(tasks, -(-size // part_bytes))
-        self.buckets = max(tasks, self.parts // 4)
+        self.buckets = max(tasks, self.parts // 2)
         key = F.pmod(F.hash(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(self.parts)).cast("long")
         self.blobs = rows.withColumn("part", key).mapInArrow(packed, BLOB_SCHEMA)
 
