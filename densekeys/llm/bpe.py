@@ -30,9 +30,8 @@ from pyspark.sql import DataFrame
 from densekeys.llm.common import id_and_text, text_strings
 
 LONG_WORD = 48
-NO_RANK = np.int32(2**31 - 1)
-BLOCK_CHARS = 1 << 20
-CACHE_WORDS = 400_000
+BLOCK_CHARS = 1 << 19
+CACHE_WORDS = 250_000
 #: Fixed: the white space of the vocabulary's pattern, and its word classes.
 BLANKS = regex.compile(r"\p{White_Space}+")
 WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\p{White_Space}\p{L}\p{N}]+")
@@ -55,22 +54,26 @@ class WordBpe:
         self.tokens: dict[int, str] = {i: t for t, i in vocab.items()} | {i: t for t, i in self.special.items()}
         self.special_split = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
         signs = byte_signs()
-        self.inner = np.array([vocab[s] for s in signs], np.int32)
-        self.last = np.array([vocab[s + end] for s in signs], np.int32)
-        pairs = np.array([(vocab[a] << 32) | vocab[b] for a, b in model["merges"]], np.int64)
-        made = np.array([vocab[a + b] for a, b in model["merges"]], np.int32)
+        # ids and ranks of a small vocabulary take half as much room
+        small = max(max(vocab.values()), len(model["merges"])) < 0xFFFF
+        self.kind, self.pair_kind, self.shift = (np.uint16, np.uint32, 16) if small else (np.uint32, np.uint64, 32)
+        self.no_rank = self.kind(np.iinfo(self.kind).max)
+        self.inner = np.array([vocab[s] for s in signs], self.kind)
+        self.last = np.array([vocab[s + end] for s in signs], self.kind)
+        pairs = np.array([(vocab[a] << self.shift) | vocab[b] for a, b in model["merges"]], self.pair_kind)
         order = np.argsort(pairs, kind="stable")
-        self.pairs, self.pair_rank, self.made = pairs[order], order.astype(np.int32), made
+        self.pairs, self.pair_rank = pairs[order], order.astype(self.kind)
+        self.made = np.array([vocab[a + b] for a, b in model["merges"]], self.kind)
         self.ranks = dict(zip(pairs.tolist(), range(len(pairs)), strict=True))
 
     def rank_of(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
-        key = left.astype(np.int64) << 32 | right
+        key = left.astype(self.pair_kind) << self.pair_kind(self.shift) | right
         at = np.minimum(np.searchsorted(self.pairs, key), len(self.pairs) - 1)
-        return np.where(self.pairs[at] == key, self.pair_rank[at], NO_RANK)
+        return np.where(self.pairs[at] == key, self.pair_rank[at], self.no_rank)
 
-    def short_words(self, words: list[bytes]) -> list[list[int]]:
-        """Ids of words of at most LONG_WORD bytes, block by block of similar length."""
-        out: list[list[int]] = [[]] * len(words)
+    def short_words(self, words: list[bytes]) -> list[bytes]:
+        """Ids of words of at most LONG_WORD bytes, as little-endian 32-bit integers, block by block of similar length."""
+        out = [b""] * len(words)
         lengths = np.fromiter(map(len, words), np.int64, len(words))
         order = np.argsort(lengths, kind="stable")
         for a in range(0, len(order), 4096):
@@ -79,21 +82,21 @@ class WordBpe:
                 out[i] = ids
         return out
 
-    def _block(self, words: list[bytes], lengths: np.ndarray) -> list[list[int]]:
+    def _block(self, words: list[bytes], lengths: np.ndarray) -> list[bytes]:
         n, width = len(words), int(lengths.max())
         raw = np.frombuffer(b"".join(w.ljust(width, b"\0") for w in words), np.uint8).reshape(n, width)
-        columns = np.arange(width)
+        columns = np.arange(width, dtype=np.int16)
         parts = self.inner[raw]
         parts[np.arange(n), lengths - 1] = self.last[raw[np.arange(n), lengths - 1]]
-        ranks = np.full((n, width), NO_RANK, np.int32)
+        ranks = np.full((n, width), self.no_rank, self.kind)
         if width > 1:
-            ranks[:, :-1] = np.where(columns[1:] < lengths[:, None], self.rank_of(parts[:, :-1], parts[:, 1:]), NO_RANK)
+            ranks[:, :-1] = np.where(columns[1:] < lengths[:, None], self.rank_of(parts[:, :-1], parts[:, 1:]), self.no_rank)
         size = lengths.copy()
         done_parts, live = parts.copy(), np.arange(n)
         while len(live):
             best = ranks.argmin(axis=1)
             rank = ranks[np.arange(len(live)), best]
-            ended = rank == NO_RANK
+            ended = rank == self.no_rank
             if ended.any():
                 done_parts[live[ended]] = parts[ended]
                 keep = ~ended
@@ -101,28 +104,32 @@ class WordBpe:
                 if not len(live):
                     break
             row = np.arange(len(live))
-            moved = columns > best[:, None]
-            parts = np.where(moved, np.roll(parts, -1, axis=1), parts)
+            behind = columns[:-1] >= best[:, None]
+            after = ranks.copy()
+            np.copyto(after[:, :-1], ranks[:, 1:], where=behind)
+            after[:, -1] = self.no_rank
+            shorter = parts.copy()
+            np.copyto(shorter[:, :-1], parts[:, 1:], where=behind)
+            parts = shorter
             parts[row, best] = self.made[rank]
-            after = np.where(columns >= best[:, None], np.roll(ranks, -1, axis=1), ranks)
-            after[:, -1] = NO_RANK
             size[live] -= 1
             has_left, has_right = best > 0, best + 1 < size[live]
-            after[row, best] = NO_RANK
+            after[row, best] = self.no_rank
             r = row[has_right]
             after[r, best[r]] = self.rank_of(parts[r, best[r]], parts[r, best[r] + 1])
             r = row[has_left]
             after[r, best[r] - 1] = self.rank_of(parts[r, best[r] - 1], parts[r, best[r]])
             ranks = after
-        flat = done_parts.tolist()
-        return [p[:k] for p, k in zip(flat, size.tolist(), strict=True)]
+        flat = done_parts[columns < size[:, None]].astype("<u4").tobytes()
+        ends = (4 * np.cumsum(size)).tolist()
+        return [flat[a:b] for a, b in zip([0, *ends], ends, strict=False)]
 
-    def long_word(self, word: bytes) -> list[int]:
+    def long_word(self, word: bytes) -> bytes:
         parts = self.inner[np.frombuffer(word, np.uint8)].tolist()
         parts[-1] = int(self.last[word[-1]])
-        n = len(parts)
+        n, shift = len(parts), self.shift
         left, right, alive = list(range(-1, n - 1)), list(range(1, n + 1)), [True] * n
-        heap = [(r, i, parts[i], parts[i + 1]) for i in range(n - 1) if (r := self.ranks.get(parts[i] << 32 | parts[i + 1])) is not None]
+        heap = [(r, i, parts[i], parts[i + 1]) for i in range(n - 1) if (r := self.ranks.get(parts[i] << shift | parts[i + 1])) is not None]
         heapq.heapify(heap)
         while heap:
             rank, i, a, b = heapq.heappop(heap)
@@ -133,13 +140,15 @@ class WordBpe:
             if right[j] < n:
                 left[right[j]] = i
             for x, y in ((left[i], i), (i, right[i])):
-                if x >= 0 and y < n and (r := self.ranks.get(parts[x] << 32 | parts[y])) is not None:
+                if x >= 0 and y < n and (r := self.ranks.get(parts[x] << shift | parts[y])) is not None:
                     heapq.heappush(heap, (r, x, parts[x], parts[y]))
-        return [p for p, a in zip(parts, alive, strict=True) if a]
+        return np.array([p for p, a in zip(parts, alive, strict=True) if a], "<u4").tobytes()
 
-    def encode_words(self, words: list[bytes]) -> list[list[int]]:
+    def encode_words(self, words: list[bytes]) -> list[bytes]:
         short = [i for i, w in enumerate(words) if len(w) <= LONG_WORD]
-        out: list[list[int]] = [[]] * len(words)
+        if len(short) == len(words):
+            return self.short_words(words)
+        out = [b""] * len(words)
         for i, ids in zip(short, self.short_words([words[i] for i in short]), strict=True):
             out[i] = ids
         for i, w in enumerate(words):
@@ -156,21 +165,9 @@ class WordBpe:
             out += [f"\0 {part}"] if k % 2 else plain_chunks(part)
         return out
 
-    def encode_chunks(self, chunks: list[str]) -> list[list[int]]:
-        words: list[bytes] = []
-        plan: list[int | list[int]] = []
-        for c in chunks:
-            if c.startswith("\0 "):
-                plan.append([self.special[c[2:]]])
-            else:
-                found = WORDS.findall(c)
-                words += [w.encode("utf-8", "surrogatepass") for w in found]
-                plan.append(len(found))
-        ids = iter(self.encode_words(words))
-        return [p if isinstance(p, list) else [i for _ in range(p) for i in next(ids)] for p in plan]
-
     def encode(self, text: str) -> list[int]:
-        return [i for ids in self.encode_chunks(self.chunks(text)) for i in ids]
+        (parts,) = Rendering(self, list_of, concatenated).texts([text])
+        return concatenated(parts)
 
     def decode(self, ids: list[int]) -> str:
         """The tokens as the vocabulary spells them, joined by blanks (its file names no other decoder)."""
@@ -191,54 +188,161 @@ def loaded(path: str) -> WordBpe:
     return WordBpe(path)
 
 
-def rendered(bpe: WordBpe, texts: list[str], render: Callable[[list[int]], object], cache: dict) -> Iterator[list]:
-    """For each text the rendered ids of its chunks. `cache` lasts between calls and is emptied beyond CACHE_WORDS."""
-    at = 0
-    while at < len(texts):
-        end, size = at, 0
-        while end < len(texts) and (end == at or size < BLOCK_CHARS):
-            size += len(texts[end])
-            end += 1
-        held = [bpe.chunks(t) for t in texts[at:end]]
-        if len(cache) > CACHE_WORDS:
-            cache.clear()
-        new = list({c for chunks in held for c in chunks if c not in cache})
-        if new:
-            cache.update(zip(new, map(render, bpe.encode_chunks(new)), strict=True))
-        for chunks in held:
-            yield list(map(cache.__getitem__, chunks))
-        at = end
+def words_of(chunk: str) -> list[str]:
+    """The words of a chunk; most are letters only, or letters and one sign, and need no pattern."""
+    if chunk.isalpha():
+        return [chunk]
+    if chunk[-1] in ".,;:!?" and chunk[:-1].isalpha():
+        return [chunk[:-1], chunk[-1]]
+    return WORDS.findall(chunk)
+
+
+class Known(dict):
+    """Rendered chunks; what is asked for in vain is noted, in order, and None for now."""
+
+    def __init__(self):
+        super().__init__()
+        self.missed: list[str] = []
+
+    def __missing__(self, chunk: str) -> None:
+        self.missed.append(chunk)
+
+
+class Rendering:
+    """What texts become when each word's ids are rendered, and the words of a chunk glued.
+
+    Words and chunks are remembered in two generations: when the young one holds CACHE_WORDS chunks it becomes the
+    old one, and what the old one still held is given up, so that memory is bounded and frequent chunks stay."""
+
+    def __init__(self, bpe: WordBpe, render: Callable, glue: Callable):
+        self.bpe, self.render, self.glue = bpe, render, glue
+        self.words: list[dict] = [{}, {}]
+        self.chunks: list[dict] = [Known(), {}]
+
+    def _learn(self, new: list[str]) -> None:
+        """Put chunks into the young generation."""
+        young, old = self.chunks
+        word, old_word = self.words
+        single, several, missing = [], [], {}
+        for c in new:
+            if c in old:
+                young[c] = old[c]
+                continue
+            if c.isalpha():
+                single.append(c)
+                held = (c,)
+            else:
+                held = (c,) if c.startswith("\0 ") else words_of(c)
+                several.append((c, held))
+            for w in held:
+                if w not in word:
+                    if w in old_word:
+                        word[w] = old_word[w]
+                    elif w.startswith("\0 "):
+                        word[w] = self.render(np.array([self.bpe.special[w[2:]]], "<u4").tobytes())
+                    else:
+                        missing[w] = None
+        if missing:
+            word.update(zip(missing, map(self.render, self.bpe.encode_words([w.encode("utf-8", "surrogatepass") for w in missing])), strict=True))
+        young.update(zip(single, map(word.__getitem__, single), strict=True))
+        glue = self.glue
+        for c, held in several:
+            young[c] = word[held[0]] if len(held) == 1 else glue([word[w] for w in held])
+
+    def texts(self, texts: list[str]) -> Iterator[list]:
+        """For each text the rendered chunks, block by block."""
+        at = 0
+        while at < len(texts):
+            for memory in (self.chunks, self.words):
+                if len(memory[0]) > CACHE_WORDS:
+                    memory[:] = [Known() if memory is self.chunks else {}, memory[0]]
+            young = self.chunks[0]
+            end, size, held = at, 0, []
+            while end < len(texts) and (end == at or size < BLOCK_CHARS):
+                size += len(texts[end])
+                before = len(young.missed)
+                parts = list(map(young.__getitem__, self.bpe.chunks(texts[end])))
+                held.append((parts, young.missed[before:]))
+                end += 1
+            if young.missed:
+                missed, young.missed = young.missed, []
+                self._learn(list(dict.fromkeys(missed)))
+            for parts, missed in held:
+                if missed:
+                    late = map(young.__getitem__, missed)
+                    parts = [next(late) if p is None else p for p in parts]
+                yield parts
+            at = end
+
+
+@lru_cache(maxsize=2)
+def rendering(path: str, render: Callable, glue: Callable) -> Rendering:
+    """One for each Python worker, so that its tasks share what it remembers; render and glue are module functions."""
+    return Rendering(loaded(path), render, glue)
+
+
+def list_of(ids: bytes) -> list[int]:
+    return np.frombuffer(ids, "<u4").tolist()
+
+
+def concatenated(lists: list[list[int]]) -> list[int]:
+    return [i for x in lists for i in x]
+
+
+def as_bytes(ids: bytes) -> bytes:
+    return ids
+
+
+def glued_bytes(parts: list[bytes]) -> bytes:
+    return b"".join(parts)
 
 
 def encode_documents(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, ids (array), decoded: every whole text encoded, and its ids decoded again."""
 
     def run(batches):
-        bpe, cache = loaded(vocabulary), {}
+        words = rendering(vocabulary, list_of, concatenated)
         for batch in batches:
-            ids = [[i for part in parts for i in part] for parts in rendered(bpe, text_strings(batch.column(1)), lambda x: x, cache)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.list_(pa.int32())), pa.array([bpe.decode(x) for x in ids], pa.string())], ["doc_id", "ids", "decoded"])
+            ids = [concatenated(parts) for parts in words.texts(text_strings(batch.column(1)))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.list_(pa.int32())), pa.array([words.bpe.decode(x) for x in ids], pa.string())], ["doc_id", "ids", "decoded"])
 
     return id_and_text(docs, id_col, text_col).mapInArrow(run, "doc_id long, ids array<int>, decoded string")
 
 
+def glued_triples(parts: list[tuple[int, str, str]]) -> tuple[int, str, str]:
+    n, ids, texts = zip(*parts, strict=True)
+    return sum(n), " ".join(ids), " ".join(texts)
+
+
+class Spelled:
+    """Renders ids as their number, their decimals and their tokens; equal for equal vocabularies."""
+
+    def __init__(self, path: str):
+        self.path = path
+
+    def __call__(self, ids: bytes) -> tuple[int, str, str]:
+        bpe, listed = loaded(self.path), list_of(ids)
+        return len(listed), " ".join(map(str, listed)), " ".join([bpe.tokens[i] for i in listed])
+
+    def __eq__(self, other: object) -> bool:
+        return isinstance(other, Spelled) and other.path == self.path
+
+    def __hash__(self) -> int:
+        return hash(self.path)
+
+
 def encoding_digests(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Digests of what encode_documents gives, without carrying ids and texts out of the task."""
 
     def run(batches):
-        bpe, cache = loaded(vocabulary), {}
-        spelled = {i: str(i) for i in bpe.tokens}
-
-        def render(ids: list[int]) -> tuple[int, str, str]:
-            return len(ids), " ".join([spelled[i] for i in ids]), bpe.decode(ids)
-
+        words = rendering(vocabulary, Spelled(vocabulary), glued_triples)
         for batch in batches:
             counts, id_sums, text_sums = [], [], []
-            for parts in rendered(bpe, text_strings(batch.column(1)), render, cache):
-                n, ids, texts = zip(*parts, strict=True) if parts else ((), (), ())
-                counts.append(sum(n))
-                id_sums.append(hashlib.sha256(" ".join(ids).encode()).hexdigest())
-                text_sums.append(hashlib.sha256(" ".join(texts).encode()).hexdigest())
+            for parts in words.texts(text_strings(batch.column(1))):
+                n, ids, texts = glued_triples(parts) if parts else (0, "", "")
+                counts.append(n)
+                id_sums.append(hashlib.sha256(ids.encode()).hexdigest())
+                text_sums.append(hashlib.sha256(texts.encode()).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(counts, pa.int64()), pa.array(id_sums, pa.string()), pa.array(text_sums, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return id_and_text(docs, id_col, text_col).mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
