@@ -17,6 +17,10 @@ from densekeys.functions.rank import bit_at, directory, packed, rank, words_for
 MAX_TRIES = 200
 
 
+class NoForest(RuntimeError):
+    """A bucket's graph had a cycle in every try."""
+
+
 def side_sizes(sizes: np.ndarray, eps: float) -> np.ndarray:
     """tau of each bucket: ceil((1 + eps) size), at least 1."""
     return np.maximum(1, np.ceil((1 + eps) * np.asarray(sizes, np.float64) - 1e-9)).astype(np.int64)
@@ -82,7 +86,7 @@ class Buckets:
 
 
 def build(numbers: np.ndarray, sizes: np.ndarray, sums: tuple[Sums, Sums], eps: float, master: int, max_tries: int = MAX_TRIES) -> Buckets:
-    """Keys come in the order of their buckets. Raises if a bucket has no forest in max_tries."""
+    """Keys come in the order of their buckets. Raises NoForest if a bucket has none in max_tries."""
     tau = side_sizes(sizes, eps)
     base = np.concatenate([[0], 2 * np.cumsum(tau)])
     bucket = np.repeat(np.arange(len(sizes)), sizes)
@@ -117,7 +121,7 @@ def build(numbers: np.ndarray, sizes: np.ndarray, sums: tuple[Sums, Sums], eps:
         again = np.zeros(len(sizes), bool)
         again[failed] = True
         keys = keys[again[of]]
-    raise RuntimeError(f"{len(open_buckets)} buckets have no forest in {max_tries} tries")
+    raise NoForest(f"{len(open_buckets)} buckets have no forest in {max_tries} tries")
 
 
 class Functions:

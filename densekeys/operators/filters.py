@@ -12,6 +12,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from densekeys.functions.encode import encode_key
 from densekeys.plans.build import Artifact, build_two_level
@@ -56,7 +57,7 @@ def might_contain(df: DataFrame, members: SlotFilter, cols: str | list[str] | No
         packed = np.zeros(max(1, members.artifact.n), np.int32)
         packed[table.column("id").to_numpy()] = table.column("signature").to_numpy()
         shared = df.sparkSession.sparkContext.broadcast(packed)
-        schema = df.schema.add("maybe", "boolean")
+        schema = T.StructType([*df.schema.fields, T.StructField("maybe", T.BooleanType())])
 
         def run(batches):
             for batch in batches:
@@ -93,12 +94,15 @@ def build_bloom(df: DataFrame, cols: list[str], rate: float) -> tuple[DataFrame,
     """The filter as rows of bitmaps, built by bitmap aggregates, with its bits and hashes."""
     n = df.select(*cols).dropDuplicates().count()
     m, k = bloom_parameters(n, rate)
-    places = df.select(F.explode(bloom_positions(encode_key(df, cols), m, k)).alias("at")).distinct()
-    bitmaps = places.groupBy(F.bitmap_bucket_number("at").alias("part")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("at")).alias("bits"))
+    key = encode_key(df, cols)
+    places = df.where(key.isNotNull()).select(F.explode(bloom_positions(key, m, k)).alias("at")).distinct()
+    # bitmap rows cover places from one on
+    bitmaps = places.select((F.col("at") + 1).alias("at")).groupBy(F.bitmap_bucket_number("at").alias("part")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("at")).alias("bits"))
     return written(bitmaps, "bloom"), m, k
 
 
 def bloom_contains(df: DataFrame, cols: list[str], bloom: tuple[DataFrame, int, int]) -> DataFrame:
+    """`df` with `maybe`; a null key is probed as the empty one."""
     bitmaps, m, k = bloom
     if m > 8 * BROADCAST_BYTES:
         raise ValueError("the bitmap is too large to travel; use a slot filter, which can stay partitioned")
@@ -108,15 +112,15 @@ def bloom_contains(df: DataFrame, cols: list[str], bloom: tuple[DataFrame, int,
         data = np.frombuffer(row["bits"], np.uint8)[: len(flat) - start]
         flat[start : start + len(data)] = data
     shared = df.sparkSession.sparkContext.broadcast(flat)
-    schema = df.schema.add("maybe", "boolean")
+    schema = T.StructType([*df.schema.fields, T.StructField("maybe", T.BooleanType())])
     names = df.columns
-    probe = df.withColumn("_at", bloom_positions(encode_key(df, cols), m, k))
+    probe = df.withColumn("_at", bloom_positions(F.coalesce(encode_key(df, cols), F.lit(b"")), m, k))
 
     def run(batches):
         for batch in batches:
-            # a bitmap row covers places from one on
-            at = np.array(batch.column(batch.num_columns - 1).to_pylist(), dtype=object)
-            maybe = [p is not None and None not in p and all(shared.value[x - 1 >> 3] >> (x - 1 & 7) & 1 if x else True for x in p) for p in at]
+            column = batch.column(batch.num_columns - 1)
+            at = column.flatten().to_numpy(zero_copy_only=False).reshape(-1, k).astype(np.int64)
+            maybe = (shared.value[at >> 3] >> (at & 7) & 1).all(axis=1)
             yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(len(names))), pa.array(maybe, pa.bool_())], [*names, "maybe"])
 
     return probe.mapInArrow(run, schema)

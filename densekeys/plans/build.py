@@ -20,13 +20,10 @@ from densekeys.shared import written
 
 VERSION = 1
 BUILT = "super long, n long, n_slots long, buckets binary, sizes binary, seeds binary, tries binary, labels binary, occupied binary"
+BUILT_NAMES = [x.split()[0] for x in BUILT.split(", ")]
 ARTIFACT = BUILT + ", base long, slot_base long"
 
 
-class Restart(Exception):
-    """Two keys with one fingerprint, or a bucket without a forest: draw anew."""
-
-
 @dataclass
 class Artifact:
     """A built function: its rows, one for each super-bucket, and what is needed to read them."""
@@ -113,7 +110,10 @@ def group_builder(params: Params, attempt: int, b: int):
 
     def build_group(keys, table):
         w = as_words(table.column("hi").to_numpy(), table.column("lo").to_numpy(), words)
-        row = build_super(w, b, params, attempt, int(keys[0].as_py()))
+        try:
+            row = build_super(w, b, params, attempt, int(keys[0].as_py()))
+        except kernel.NoForest:  # told by a size that no super-bucket has
+            row = dict.fromkeys(BUILT_NAMES, b"") | {"super": int(keys[0].as_py()), "n": -1, "n_slots": 0}
         return pa.table({k: pa.array([v], pa.binary() if isinstance(v, bytes) else pa.int64()) for k, v in row.items()})
 
     return build_group
@@ -122,7 +122,8 @@ def group_builder(params: Params, attempt: int, b: int):
 def build_two_level(df: DataFrame, cols: str | list[str], params: Params = Params(), b_method: str = "empirical") -> Artifact:
     """The scalable construction: fingerprints, one exchange to super-buckets, all buckets of a super-bucket at once.
 
-    Driver state is a handful of counts. Restarts draw new tables, as the attempt is part of every seed."""
+    Driver state is a handful of counts. Two keys with one fingerprint, or a bucket without a forest, start the
+    next attempt, which draws new tables, as the attempt is part of every seed."""
     cols = [cols] if isinstance(cols, str) else list(cols)
     spark = df.sparkSession
     rows = df.select(*(F.col(f"`{c}`") for c in cols))
@@ -136,11 +137,13 @@ def build_two_level(df: DataFrame, cols: str | list[str], params: Params = Param
         n = totals["n"]
         b = choose_bits(prints, n, params.ell, b_method, super_bits) if n > params.ell or super_bits else 0
         built = written(prints.select("super", "hi", "lo").groupBy("super").applyInArrow(group_builder(params, attempt, b), BUILT), "buckets")
+        slots = built.agg(F.sum("n_slots").alias("slots"), F.min("n").alias("least")).first()
+        if (slots["least"] or 0) < 0:
+            continue
         placed = prefix_sums(prefix_sums(built, "super", "n", "base"), "super", "n_slots", "slot_base")
         rows_out = placed.select(*[x.split()[0] for x in ARTIFACT.split(", ")])
-        slots = built.agg(F.sum("n_slots")).first()[0] or 0
-        return Artifact(rows_out, params, n, slots, b, super_bits, attempt, attempt, cols)
-    raise RuntimeError(f"no collision-free fingerprints in {params.max_restarts + 1} attempts")
+        return Artifact(rows_out, params, n, slots["slots"] or 0, b, super_bits, attempt, attempt, cols)
+    raise RuntimeError(f"no function found in {params.max_restarts + 1} attempts")
 
 
 def build_core(df: DataFrame, cols: str | list[str], params: Params = Params(hash="xx128", kappa=256), max_keys: int = 20_000_000) -> Artifact:

@@ -238,11 +238,11 @@ def eps_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def restart_count(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Default fingerprints need no restart; 20 bits collide in every attempt, which is reported and not hidden."""
+    """Default fingerprints need no restart; 12 bits collide in every attempt, which is reported and not hidden."""
     df = table(spark, sf_dir, "orders")
     plain = build_two_level(df, "o_orderkey", Params()).restarts
     try:
-        build_two_level(df, "o_orderkey", Params(gamma=20, max_restarts=1))
+        build_two_level(df, "o_orderkey", Params(gamma=12, max_restarts=1))
         refused = False
     except RuntimeError:
         refused = True
