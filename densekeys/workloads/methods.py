@@ -386,3 +386,30 @@ FROM (SELECT size, greatest(1, (size * 1045 + 999) // 1000) AS tau FROM ({_sizes
     "bl_surrogate_key": "SELECT (SELECT count(*) FROM lineitem)::BIGINT AS n_rows, count(*)::BIGINT AS n_refs FROM (SELECT DISTINCT l_partkey, l_suppkey FROM lineitem)",
     "op_artifact_roundtrip": "SELECT n, 0::BIGINT AS min_id, n - 1 AS max_id, n AS n_ids, n AS n_in_buckets FROM (SELECT count(DISTINCT o_orderkey)::BIGINT AS n FROM orders)",
 }
+
+
+def sql_dense_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The function called from SQL agrees with lookup()."""
+    from densekeys.operators.sql_surface import register_lookup
+
+    urls = table(spark, sf_dir, "pages").select("url")
+    artifact = build_two_level(urls, "url", Params(hash="mix96"))
+    register_lookup(spark, "dense_id", artifact)
+    both = lookup(urls, artifact).withColumn("by_sql", F.expr("dense_id(url)"))
+    return both.agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("id") != F.col("by_sql")).alias("differ"))
+
+
+def sql_set_places(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Occupied slots exploded by the table function: one for each key."""
+    from densekeys.operators.sql_surface import register_tables
+
+    register_tables(spark)
+    rows = build_two_level(table(spark, sf_dir, "orders"), "o_orderkey", Params(hash="xx128")).rows
+    return spark.sql("SELECT count(*) AS n FROM {rows}, LATERAL set_places(occupied)", rows=rows)
+
+
+QUERIES |= {"sql_dense_id": sql_dense_id, "sql_set_places": sql_set_places}
+ORACLES |= {
+    "sql_dense_id": "SELECT count(*)::BIGINT AS n, 0::BIGINT AS differ FROM pages",
+    "sql_set_places": "SELECT count(DISTINCT o_orderkey)::BIGINT AS n FROM orders",
+}
