@@ -43,10 +43,12 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def cut_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages that a smaller document holds are cut out, to whole characters; a document of which nothing stays keeps its row with an empty text."""
-    cut = suffix_dedup.remove_repeats(docs).where("n_removed > 0").select("doc_id", F.col("kept").cast("string").alias("cut_text"))
-    cut = written(cut.dropDuplicates(["doc_id"]), "cut-texts")
-    text = F.coalesce("cut_text", "text")
-    return docs.join(cut, "doc_id", "left").withColumn("text", text).withColumn("n_chars", F.when(F.col("cut_text").isNotNull(), F.length("cut_text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+    others = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
+    cut = suffix_dedup.remove_repeats(docs, carry=others)
+    held = {c: F.col(f"carried_{k}") for k, c in enumerate(others)} | {"doc_id": F.col("doc_id"), "text": F.col("kept").cast("string")}
+    if "n_chars" in held:
+        held["n_chars"] = F.when(F.col("n_removed") > 0, F.length(held["text"]).cast("long")).otherwise(held["n_chars"])
+    return cut.select(*(held[c].alias(c) for c in docs.columns))
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

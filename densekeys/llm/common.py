@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import uuid
 
 import numpy as np
@@ -60,3 +61,13 @@ def seeded_words(seed: int, n: int) -> np.ndarray:
     """n pseudo-random unsigned 64-bit words, the same on every machine."""
     with np.errstate(over="ignore"):
         return mix64((np.arange(1, n + 1, dtype=np.uint64) + np.uint64(seed)) * np.uint64(0x9E3779B97F4A7C15))
+
+
+_trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+
+
+def give_back() -> None:
+    """Return freed memory to the system: a worker lives on, and its executor's other tasks need the room."""
+    pa.default_memory_pool().release_unused()
+    if _trim is not None:
+        _trim(0)

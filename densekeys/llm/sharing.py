@@ -18,11 +18,12 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from densekeys.llm.common import id_and_text, text_bytes
+from densekeys.llm.common import give_back, id_and_text, text_bytes
 
-PART_BYTES = 6 << 20
+PART_BYTES = 4 << 20
+PACKED_ROWS = 4000
 NO_ID = np.iinfo(np.int64).max
-BLOB_SCHEMA = "part long, ids binary, sizes binary, texts binary"
+BLOB_SCHEMA = "part long, ids binary, sizes binary, texts binary, others binary"
 
 
 def squeezed(values: np.ndarray) -> bytes:
@@ -47,9 +48,9 @@ def unsqueezed_sorted(data: bytes, dtype) -> np.ndarray:
 
 
 class Parts:
-    """Documents dealt to parts: packed texts, the number of parts, and of buckets."""
+    """Documents dealt to parts: packed texts, the number of parts, and of buckets; `carry` names columns that travel along."""
 
-    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", part_bytes: int = PART_BYTES):
+    def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", part_bytes: int = PART_BYTES, carry: tuple[str, ...] = ()):
         rows = id_and_text(docs, id_col, text_col)
         size = rows.agg(F.sum(F.octet_length("text")).alias("size")).first()["size"] or 0
         tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -57,35 +58,65 @@ class Parts:
         self.buckets = max(tasks, self.parts // 2)
         key = F.pmod(F.hash(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(self.parts)).cast("long")
         self.blobs = rows.withColumn("part", key).mapInArrow(packed, BLOB_SCHEMA)
+        self.laden = self.blobs
+        if carry:
+            others = [F.col(f"`{c}`").alias(f"carried_{k}") for k, c in enumerate(carry)]
+            own = [F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text")]
+            self.laden = docs.select(*own, *others).withColumn("part", key).select("doc_id", "text", "part", *[f"carried_{k}" for k in range(len(carry))]).mapInArrow(packed, BLOB_SCHEMA)
 
 
 def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        ids = batch.column(0).fill_null(int(NO_ID)).to_numpy()
-        texts = text_bytes(batch.column(1))
-        part = batch.column(2).to_numpy()
-        order = np.argsort(part, kind="stable")
-        first = np.flatnonzero(np.diff(part[order], prepend=-1))
-        rows = []
-        for a, b in zip(first, [*first[1:], len(order)], strict=True):
-            at = order[a:b]
-            held = [texts[i] for i in at]
-            rows.append((int(part[at[0]]), ids[at].tobytes(), np.array([len(t) for t in held], np.int64).tobytes(), zstandard.compress(b"".join(held), 1)))
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.binary(), pa.binary(), pa.binary()), strict=True)], ["part", "ids", "sizes", "texts"])
+    for whole in batches:
+        for start in range(0, whole.num_rows, PACKED_ROWS):
+            yield packed_rows(whole.slice(start, PACKED_ROWS))
+        give_back()
+
+
+def packed_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
+    """A row for each part that has documents in the batch."""
+    ids = batch.column(0).fill_null(int(NO_ID)).to_numpy()
+    texts = text_bytes(batch.column(1))
+    part = batch.column(2).to_numpy()
+    order = np.argsort(part, kind="stable")
+    first = np.flatnonzero(np.diff(part[order], prepend=-1))
+    rows = []
+    for a, b in zip(first, [*first[1:], len(order)], strict=True):
+        at = order[a:b]
+        held = [texts[i] for i in at]
+        others = table_bytes(pa.Table.from_batches([batch.select(batch.schema.names[3:]).take(pa.array(at))])) if batch.num_columns > 3 else None
+        rows.append((int(part[at[0]]), ids[at].tobytes(), np.array([len(t) for t in held], np.int64).tobytes(), zstandard.compress(b"".join(held), 1), others))
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), *[pa.binary()] * 4), strict=True)], ["part", "ids", "sizes", "texts", "others"])
+
+
+def table_bytes(table: pa.Table) -> bytes:
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, table.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+        out.write_table(table)
+    return sink.getvalue().to_pybytes()
 
 
 def unpacked(table: pa.Table) -> tuple[np.ndarray, list[bytes]]:
     """Ids (NO_ID for null) and texts of a part, sorted by id and then text, however its blocks arrived."""
-    rows: list[tuple[int, bytes]] = []
+    ids, texts, _ = unpacked_in_order(table)
+    return ids, texts
+
+
+def unpacked_in_order(table: pa.Table) -> tuple[np.ndarray, list[bytes], np.ndarray]:
+    """As unpacked, with the place of each document in the blocks as they arrived."""
+    rows: list[tuple[int, bytes, int]] = []
     for ids, sizes, texts in zip(*(table.column(c).to_pylist() for c in ("ids", "sizes", "texts")), strict=True):
         data, at = zstandard.decompress(texts), 0
         for i, n in zip(np.frombuffer(ids, np.int64).tolist(), np.frombuffer(sizes, np.int64).tolist(), strict=True):
-            rows.append((i, data[at : at + n]))
+            rows.append((i, data[at : at + n], len(rows)))
             at += n
     rows.sort()
-    return np.array([r[0] for r in rows], np.int64), [r[1] for r in rows]
+    return np.array([r[0] for r in rows], np.int64), [r[1] for r in rows], np.array([r[2] for r in rows], np.int64)
+
+
+def carried(table: pa.Table, order: np.ndarray) -> list[pa.Array]:
+    """The columns that travelled along, in the order of unpacked_in_order."""
+    held = [pa.ipc.open_stream(x).read_all() for x in table.column("others").to_pylist() if x is not None]
+    return [c.combine_chunks() for c in pa.concat_tables(held).take(pa.array(order)).columns] if held else []
 
 
 def codes_of(prints: np.ndarray, buckets: int) -> np.ndarray:
@@ -114,10 +145,12 @@ def answered(parts: Parts, send: Callable, merge: Callable, receive: Callable, o
         for k in np.flatnonzero(np.diff(bounds)).tolist():
             a, b = bounds[k], bounds[k + 1]
             rows.append((k, part, squeezed_sorted(low[a:b]), [squeezed(x[a:b]) for x in arrays]))
+        give_back()
         kinds = (pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.binary()))
         return pa.table([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * 4, kinds, strict=True)], names=["bucket", "sender", "codes", "extra"])
 
     def merging(keys, table):
+        give_back()
         table = table.sort_by("sender")
         held = [unsqueezed_sorted(c, np.uint32) for c in table.column("codes").to_pylist()]
         extra = table.column("extra").to_pylist()
@@ -133,6 +166,7 @@ def answered(parts: Parts, send: Callable, merge: Callable, receive: Callable, o
         return pa.table([pa.array(c, t) for c, t in zip(zip(*rows, strict=True) if rows else [[]] * 4, kinds, strict=True)], names=["part", "bucket", "bits", "answers"])
 
     def receiving(keys, left, right):
+        give_back()
         ids, texts = unpacked(left)
 
         def answers_for(codes: np.ndarray) -> np.ndarray:

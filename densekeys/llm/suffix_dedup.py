@@ -26,9 +26,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_type
 
-from densekeys.llm.common import fresh_path, mix64
-from densekeys.llm.sharing import NO_ID, Parts, answered, codes_of, squeezed, unpacked, unsqueezed
+from densekeys.llm.common import fresh_path, give_back, mix64
+from densekeys.llm.sharing import NO_ID, Parts, answered, carried, codes_of, squeezed, table_bytes, unpacked_in_order, unsqueezed
 from densekeys.llm.words import blocks, joined, hashes_between, prefix_sums
 
 WINDOW = 50
@@ -131,11 +133,8 @@ def receive(part: int, ids: np.ndarray, texts: list[bytes], buckets: int, answer
     np.minimum.at(least, where, ids[docs])
     np.maximum.at(most, where, ids[docs])
     places = pa.table({"segment": where, "text": docs.astype(np.uint32), "start": starts.astype(np.int64)})
-    sink = pa.BufferOutputStream()
-    with pa.ipc.new_stream(sink, places.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
-        out.write_table(places)
     keys = list(numbers)
-    columns = [[k[0] for k in keys] + [-1], [part] * (len(keys) + 1), list(range(len(keys))) + [0], [k[1] for k in keys] + [sink.getvalue().to_pybytes()], np.append(least, 0), np.append(most, 0)]
+    columns = [[k[0] for k in keys] + [-1], [part] * (len(keys) + 1), list(range(len(keys))) + [0], [k[1] for k in keys] + [table_bytes(places)], np.append(least, 0), np.append(most, 0)]
     kinds = (pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.int64(), pa.int64())
     return pa.table([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["route", "part", "segment", "bytes", "least", "most"])
 
@@ -258,7 +257,7 @@ def sort_segments(batches):
         order = np.argsort(part[seg], kind="stable")
         seg, a, b, ids = seg[order], a[order], b[order], ids[order]
         first = np.flatnonzero(np.diff(part[seg], prepend=-1))
-        for x, y in zip(first, np.append(first[1:], len(seg)), strict=True):
+        for x, y in zip(first, [*first[1:], len(seg)], strict=False):  # none without a hit
             out.append((int(part[seg[x]]), squeezed(number[seg[x:y]]), squeezed(a[x:y]), squeezed(b[x:y]), squeezed(ids[x:y])))
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [[]] * 5, (pa.int64(), *[pa.binary()] * 4), strict=True)], ["part", "segments", "firsts", "lasts", "ids"])
 
@@ -271,14 +270,16 @@ def sort_segments(batches):
             size += len(row[3])
     if held:
         yield flush(held)
+    give_back()
 
 
 REMOVED_SCHEMA = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary"
 
 
-def removing(with_text: bool):
+def removing(with_text: bool, carry_names: list[str], carry_kinds: list[pa.DataType]):
     def run(keys, left, right):
-        ids, texts = unpacked(left)
+        give_back()
+        ids, texts, arrived = unpacked_in_order(left)
         size = np.array([len(t) for t in texts], np.int64)
         base = np.concatenate([[0], np.cumsum(size + 1)])
         delta = np.zeros(int(base[-1]) + 1, np.int32)
@@ -299,10 +300,9 @@ def removing(with_text: bool):
             start = base[text] + place["start"][which]
             np.add.at(delta, start + a[at], 1)
             np.add.at(delta, start + b[at] + WINDOW, -1)
-        gone = np.cumsum(delta[:-1]) > 0
         out = []
         for k, t in enumerate(texts):
-            mark = gone[base[k] : base[k] + len(t)]
+            mark = np.cumsum(delta[base[k] : base[k] + len(t)], dtype=np.int32) > 0
             n_removed = int(mark.sum())
             spans = int((np.diff(mark.astype(np.int8), prepend=0) == 1).sum())
             kept = np.frombuffer(t, np.uint8)[~mark].tobytes() if n_removed else t
@@ -313,7 +313,9 @@ def removing(with_text: bool):
             out.append((None if ids[k] == NO_ID else int(ids[k]), len(t), n_removed, spans, hashlib.sha256(kept).hexdigest(), kept_text if with_text else None))
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary())
         names = [x.split()[0] for x in REMOVED_SCHEMA.split(", ")]
-        return pa.table([pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [[]] * 6, kinds, strict=True)], names=names)
+        columns = [pa.array(c, t) for c, t in zip(zip(*out, strict=True) if out else [[]] * 6, kinds, strict=True)]
+        others = carried(left, arrived) if out and carry_names else [pa.array([], k) for k in carry_kinds]
+        return pa.table([*columns, *others], names=[*names, *carry_names])
 
     return run
 
@@ -328,10 +330,10 @@ def without(text: bytes, mark: np.ndarray) -> bytes:
     return data[stays[character]].tobytes()
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", with_text: bool = True) -> DataFrame:
-    """What is removed of every document, and with `with_text` the UTF-8 text that is kept."""
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", with_text: bool = True, carry: tuple[str, ...] = ()) -> DataFrame:
+    """What is removed of every document, and with `with_text` the UTF-8 text that is kept; columns in `carry` come back as carried_0, ..."""
     spark = docs.sparkSession
-    parts = Parts(docs, id_col, text_col)
+    parts = Parts(docs, id_col, text_col, carry=carry)
     path = fresh_path(spark, "segments")
     answered(parts, send, merge, receive, SEGMENT_SCHEMA).write.option("compression", "zstd").parquet(path)
     segments = spark.read.schema(SEGMENT_SCHEMA).parquet(path)
@@ -339,5 +341,8 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     runs = segments.where("route >= 0").repartition(tasks, "route").sortWithinPartitions("route").mapInArrow(sort_segments, RUN_SCHEMA)
     places = segments.where("route = -1").select("part", "bytes", *(F.lit(None).cast("binary").alias(c) for c in ("segments", "firsts", "lasts", "ids")))
     known = runs.select("part", F.lit(None).cast("binary").alias("bytes"), "segments", "firsts", "lasts", "ids").unionByName(places)
-    out = parts.blobs.groupBy("part").cogroup(known.groupBy("part")).applyInArrow(removing(with_text), REMOVED_SCHEMA)
+    kinds = [docs.schema[c].dataType for c in carry]
+    names = [f"carried_{k}" for k in range(len(carry))]
+    schema = T.StructType([*T._parse_datatype_string(REMOVED_SCHEMA).fields, *(T.StructField(n, k) for n, k in zip(names, kinds, strict=True))])
+    out = parts.laden.groupBy("part").cogroup(known.groupBy("part")).applyInArrow(removing(with_text, names, [to_arrow_type(k) for k in kinds]), schema)
     return out if with_text else out.drop("kept")

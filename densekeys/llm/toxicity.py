@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from densekeys.llm.common import id_and_text, mix64, text_bytes
+from densekeys.llm.common import give_back, id_and_text, mix64, text_bytes
 from densekeys.llm.training import Adam, held_out, labelled_sample, sigmoid
 from densekeys.llm.words import LETTERS, LOWERED, blocks, hashes_between, joined, prefix_sums, spans
 
@@ -33,6 +33,7 @@ WIDTHS = (1, 2, 3)
 FILTERS = 12
 STRETCH = 32
 PER_CLASS = 2000
+FEW_TO_CALIBRATE = 30
 LANGUAGES = ("en", "de", "fr", "es")
 #: Fixed: frequent function words by which a language is guessed.
 FUNCTION_WORDS = (
@@ -112,8 +113,8 @@ class ToxicityModel:
         return sigmoid(z - self.thresholds[lang]).astype(np.float64)
 
 
-def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6) -> ToxicityModel | None:
-    """Four fifths train, the rest calibrate; None without labels of both kinds."""
+def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6, steps: int = 400) -> ToxicityModel | None:
+    """Four fifths train, the rest calibrate; None without labels of both kinds. Small samples get more epochs, for at least `steps` steps."""
     if len(set(labels.tolist())) < 2:
         return None
     rest = np.arange(len(texts)) % 5 == 4
@@ -131,7 +132,7 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6) -> ToxicityMode
         ids, bounds = word_ids([texts[i] for i in train[a:b]])
         docs += [ids[x:y] for x, y in zip(bounds, bounds[1:], strict=False)]
     params["e"][0] = 0
-    for _ in range(epochs):
+    for _ in range(max(epochs, -(-32 * steps // len(train)))):
         turn = rng.permutation(len(train))
         for k in range(0, len(turn), 32):
             batch = turn[k : k + 32]
@@ -180,10 +181,13 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6) -> ToxicityMode
     z, lang = model.logits([t for t, r in zip(texts, rest, strict=True) if r])
     # the sample is balanced, the corpus is not: thresholds weigh a clean document by the corpus's odds
     model.thresholds = calibrated(z, y[rest], lang)
+    if y[rest].sum() < FEW_TO_CALIBRATE:  # then no less than nearly all clean rows of the whole sample lie below
+        clean, _ = model.logits([t for t, toxic in zip(texts, labels.tolist(), strict=True) if not toxic])
+        model.thresholds = np.maximum(model.thresholds, np.quantile(clean, 0.995) + 0.5)
     return model
 
 
-def calibrated(z: np.ndarray, y: np.ndarray, lang: np.ndarray, least: int = 30, clean_weight: float = 2.0) -> np.ndarray:
+def calibrated(z: np.ndarray, y: np.ndarray, lang: np.ndarray, least: int = FEW_TO_CALIBRATE, clean_weight: float = 2.0) -> np.ndarray:
     """For each language the threshold with the fewest errors, clean documents weighted; languages with few rows take that of all."""
 
     def best(z: np.ndarray, y: np.ndarray) -> float:
@@ -226,6 +230,7 @@ def flagged(docs: DataFrame, model: ToxicityModel | None, text_col: str = "text"
             texts = text_bytes(batch.column(at))
             score = np.zeros(len(texts)) if shared.value is None else shared.value.score(texts)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(score, pa.float64())], [*batch.schema.names, score_col])
+        give_back()
 
     return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(score_col, T.DoubleType())]))
 
