@@ -252,7 +252,20 @@ def sort_segments(batches):
     def flush(rows):
         part = np.array([r[1] for r in rows], np.int64)
         number = np.array([r[2] for r in rows], np.int64)
-        seg, a, b, ids = shared_windows([r[3] for r in rows], np.array([r[4] for r in rows], np.int64), np.array([r[5] for r in rows], np.int64))
+        # equal segments of several parts are sorted once
+        distinct: dict[bytes, int] = {}
+        of = np.array([distinct.setdefault(r[3], len(distinct)) for r in rows], np.int64)
+        most = np.array([r[5] for r in rows], np.int64)
+        low, high = np.full(len(distinct), NO_ID), np.full(len(distinct), np.iinfo(np.int64).min)
+        np.minimum.at(low, of, np.array([r[4] for r in rows], np.int64))
+        np.maximum.at(high, of, most)
+        one, a, b, ids = shared_windows(list(distinct), low, high)
+        begin, count = np.searchsorted(one, of), np.searchsorted(one, of, side="right") - np.searchsorted(one, of)
+        seg = np.repeat(np.arange(len(rows)), count)
+        at = np.repeat(begin - np.cumsum(count) + count, count) + np.arange(len(seg))
+        a, b, ids = a[at], b[at], ids[at]
+        told = ids < most[seg]
+        seg, a, b, ids = seg[told], a[told], b[told], ids[told]
         out = []
         order = np.argsort(part[seg], kind="stable")
         seg, a, b, ids = seg[order], a[order], b[order], ids[order]
