@@ -6,7 +6,8 @@ embeddings. Responses are max-pooled over stretches of STRETCH words; for each f
 mean of all stretches, rectified, feed a logistic output, so that it sees both what occurs and how often.
 For scoring, each filter position is multiplied into the table once, so that a response is a sum of table
 rows. The language is guessed from the text alone, by its most frequent function words; for each, a threshold
-of the logit is calibrated on rows that training did not see, and the score is shifted so that 0.5 is it.
+of the logit is calibrated by cross-fitting (each row's logit from a model that did not see its fold), and the score
+is shifted so that 0.5 is it.
 
 The sample is bounded by `per_class` whole texts of either label. Defined cases: null and empty texts have
 one padding word and get its score; without labels of both kinds every score is 0; null doc_ids are scored
@@ -34,6 +35,7 @@ FILTERS = 12
 STRETCH = 32
 PER_CLASS = 2000
 FEW_TO_CALIBRATE = 30
+FOLDS = 3
 LANGUAGES = ("en", "de", "fr", "es")
 #: Fixed: frequent function words by which a language is guessed.
 FUNCTION_WORDS = (
@@ -113,27 +115,19 @@ class ToxicityModel:
         return sigmoid(z - self.thresholds[lang]).astype(np.float64)
 
 
-def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6, steps: int = 400) -> ToxicityModel | None:
-    """Four fifths train, the rest calibrate; None without labels of both kinds. Small samples get more epochs, for at least `steps` steps."""
-    if len(set(labels.tolist())) < 2:
-        return None
-    rest = np.arange(len(texts)) % 5 == 4
+def trained(docs: list[np.ndarray], labels: np.ndarray, train: np.ndarray, epochs: int, steps: int) -> ToxicityModel:
+    """The network after training on the documents (rows of word_ids) at `train`, with thresholds of zero."""
     rng = np.random.default_rng(3)
     total = FILTERS * len(WIDTHS)
     params = {"e": rng.normal(0, 0.3, (SLOTS, DIM)).astype(np.float32), "bias": np.zeros(total, np.float32), "out": rng.normal(0, 0.3, 2 * total).astype(np.float32), "offset": np.zeros(1, np.float32)}
     params |= {f"w{w}": rng.normal(0, (w * DIM) ** -0.5, (w * DIM, FILTERS)).astype(np.float32) for w in WIDTHS}
     dense = Adam({k: v for k, v in params.items() if k != "e"}, 0.01)
     squares = np.full(SLOTS, 1e-3, np.float32)
-    train = np.flatnonzero(~rest)
     y = labels.astype(np.float32)
     weight = np.where(y == 1, 0.5 / y[train].mean(), 0.5 / (1 - y[train].mean())).astype(np.float32)
-    docs = []
-    for a, b in blocks([texts[i] for i in train]):
-        ids, bounds = word_ids([texts[i] for i in train[a:b]])
-        docs += [ids[x:y] for x, y in zip(bounds, bounds[1:], strict=False)]
     params["e"][0] = 0
     for _ in range(max(epochs, -(-32 * steps // len(train)))):
-        turn = rng.permutation(len(train))
+        turn = train[rng.permutation(len(train))]
         for k in range(0, len(turn), 32):
             batch = turn[k : k + 32]
             ids = np.concatenate([docs[i] for i in batch])
@@ -153,8 +147,8 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6, steps: int = 40
             act = np.maximum(pre, 0)
             top = np.maximum.reduceat(act, stretch[:-1], axis=0)
             seen = np.concatenate([top, np.add.reduceat(act, stretch[:-1], axis=0) / count[:, None]], axis=1)
-            error = sigmoid(seen @ params["out"] + params["offset"][0]) - y[train[batch]]
-            g = np.where(np.abs(error) < 0.02, 0, error) * weight[train[batch]] / len(batch)
+            error = sigmoid(seen @ params["out"] + params["offset"][0]) - y[batch]
+            g = np.where(np.abs(error) < 0.02, 0, error) * weight[batch] / len(batch)
             to_top, to_mean = np.outer(g, params["out"][:total]), np.outer(g, params["out"][total:]) / count[:, None]
             back = (np.repeat(to_top, count, axis=0) * (act == np.repeat(top, count, axis=0)) + np.repeat(to_mean, count, axis=0)) * (pre > 0)
             grads = {"out": seen.T @ g + 1e-4 * params["out"], "offset": np.array([g.sum()], np.float32), "bias": back.sum(0)}
@@ -177,13 +171,42 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6, steps: int = 40
             params["e"][slot] -= 0.1 * move / np.sqrt(squares[slot])[:, None]
             params["e"][0] = 0
     tables = [np.ascontiguousarray(params["e"] @ params[f"w{w}"][j * DIM : (j + 1) * DIM]) for w in WIDTHS for j in range(w)]
-    model = ToxicityModel(tables, params["bias"], params["out"], float(params["offset"][0]), np.zeros(len(LANGUAGES) + 1))
-    z, lang = model.logits([t for t, r in zip(texts, rest, strict=True) if r])
+    return ToxicityModel(tables, params["bias"], params["out"], float(params["offset"][0]), np.zeros(len(LANGUAGES) + 1))
+
+
+def folds_of(labels: np.ndarray, folds: int = FOLDS) -> np.ndarray:
+    """A fold for each row; rows of either label are dealt out in turn, so that no fold has more than one above its share."""
+    fold = np.zeros(len(labels), int)
+    for label in (0, 1):
+        fold[labels == label] = np.arange((labels == label).sum()) % folds
+    return fold
+
+
+def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6, steps: int = 400, each=map) -> ToxicityModel | None:
+    """A model of all rows, calibrated at every size by the logits that models without a row's fold give to the row.
+
+    None without labels of both kinds. Small samples get more epochs, for at least `steps` steps. `each` maps a
+    function over the trainings, which are independent of each other."""
+    if len(set(labels.tolist())) < 2:
+        return None
+    docs = []
+    for a, b in blocks(texts):
+        ids, bounds = word_ids(texts[a:b])
+        docs += [ids[x:y] for x, y in zip(bounds, bounds[1:], strict=False)]
+    fold = folds_of(labels)
+
+    def one(k: int):
+        """The model of all rows for k = FOLDS, else rows of fold k with logits and languages: none if the others lack a label."""
+        own, train = np.flatnonzero(fold == k), np.flatnonzero(fold != k)
+        if len(own) == 0 and k < FOLDS or len(set(labels[train].tolist())) < 2:
+            return own[:0], np.zeros(0), np.zeros(0, int)
+        model = trained(docs, labels, train, epochs, steps)
+        return (own, *model.logits([texts[i] for i in own])) if k < FOLDS else model
+
+    *unseen, model = each(one, range(FOLDS + 1))
+    rows, z, lang = (np.concatenate(x) for x in zip(*unseen, strict=True))
     # the sample is balanced, the corpus is not: thresholds weigh a clean document by the corpus's odds
-    model.thresholds = calibrated(z, y[rest], lang)
-    if y[rest].sum() < FEW_TO_CALIBRATE:  # then no less than nearly all clean rows of the whole sample lie below
-        clean, _ = model.logits([t for t, toxic in zip(texts, labels.tolist(), strict=True) if not toxic])
-        model.thresholds = np.maximum(model.thresholds, np.quantile(clean, 0.995) + 0.5)
+    model.thresholds = calibrated(z, labels[rows], lang)
     return model
 
 
@@ -204,7 +227,12 @@ def calibrated(z: np.ndarray, y: np.ndarray, lang: np.ndarray, least: int = FEW_
 
 
 def fit_on(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, modulus: int = 5, remainder: int = 0, id_col: str = "doc_id", text_col: str = "text") -> ToxicityModel | None:
-    return fit(*labelled_sample(docs, labels, "toxic", modulus, remainder, per_class, id_col, text_col))
+    context = docs.sparkSession.sparkContext
+
+    def in_tasks(one, which):
+        return context.parallelize(which, len(which)).map(one).collect()
+
+    return fit(*labelled_sample(docs, labels, "toxic", modulus, remainder, per_class, id_col, text_col), each=in_tasks)
 
 
 def apply_model(docs: DataFrame, model: ToxicityModel | None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -422,6 +422,15 @@ def test_held_out_accuracy(spark, larger, operator, label, modulus, remainder, l
     assert np.mean([r["predicted"] == r[label] for r in clean]) >= 0.97
 
 
+@pytest.mark.parametrize("folder,recall", [("sf0.01", 0.15), ("sf0.1", 0.7)])
+def test_toxic_recall_at_every_size(spark, folder, recall):
+    docs, labels = (spark.read.parquet(f"/root/testdata/{folder}/{t}.parquet") for t in ("documents", "labels"))
+    rows = [r for r in toxicity.score_documents(docs.join(labels.select("doc_id"), "doc_id", "left_semi"), labels).join(labels, "doc_id").collect() if r["held_out"]]
+    toxic = [r["predicted"] for r in rows if r["toxic"] == 1]
+    assert np.mean(toxic) >= recall
+    assert np.mean([r["predicted"] for r in rows if r["toxic"] == 0]) <= 0.01
+
+
 @pytest.mark.parametrize("operator,label", [(quality, "quality"), (toxicity, "toxic")])
 def test_classifiers_of_odd_rows(spark, odd, none, operator, label):
     few = spark.createDataFrame([(6, 1), (8, 0), (None, 1), (3, None)], f"doc_id long, {label} int")
