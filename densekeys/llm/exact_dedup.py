@@ -14,7 +14,7 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from densekeys.llm.common import fresh_path, id_and_text, written
@@ -23,6 +23,11 @@ WHITE_SPACE = r"[\x20\x09-\x0D]+"
 INDEX_SCHEMA = "digest binary, keep_id long, n_points long, group_size long, batch string"
 
 
+def digest_of(text: Column) -> Column:
+    """The 32-byte digest of the normalised text."""
+    return F.unhex(F.sha2(F.regexp_replace(text, WHITE_SPACE, "").cast("binary"), 256))
+
+
 def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, code points of the original text, and the 32-byte digest of the normalised text."""
     rows = id_and_text(docs, id_col, text_col)
@@ -30,7 +35,7 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     return rows.select(
         "doc_id",
         F.length(text).cast("long").alias("n_points"),
-        F.unhex(F.sha2(F.regexp_replace(text, WHITE_SPACE, "").cast("binary"), 256)).alias("digest"),
+        digest_of(text).alias("digest"),
     )
 
 

@@ -59,5 +59,22 @@ def test_pipeline_of_odd_and_no_rows(spark, small):
     assert sorted(r["doc_id"] for r in kept.select(F.col("doc_id")).collect()) == [1, 2]
 
 
+def test_rows_are_judged_by_their_own_text(spark, small):
+    """Unique texts without an id, or of an id that another text has too, stay; copies go whatever the id."""
+    stages = dict(corpus_pipeline.STAGES)
+    rows = [(1, "p q"), (5, "p q"), (5, "r s"), (None, "x"), (None, "x"), (None, "y"), (None, "p q"), (6, "u v"), (None, "u   v"), (7, "w z"), (7, "w z"), (7, "wz")]
+    for extra in ("doc_id long, text string", "doc_id long, text string, row_key long"):
+        docs = spark.createDataFrame([(*r, 3) if "row_key" in extra else r for r in rows], extra)
+        kept = written(stages["exact_dedup"](spark, docs, small), "exact_dedup")
+        assert kept.columns == docs.columns
+        key = lambda r: (r[0] is None, r[0] or 0, r[1])
+        assert sorted(((r["doc_id"], r["text"]) for r in kept.collect()), key=key) == [(1, "p q"), (5, "r s"), (7, "w z"), (None, "u   v"), (None, "x"), (None, "y")]
+    words = [" ".join(f"{w}{k}" for k in range(60)) for w in "abcd"]
+    near = [(1, words[0]), (5, words[0] + " more"), (5, words[1]), (None, words[2]), (None, words[1] + " end"), (None, words[0] + " other"), (8, words[3]), (9, words[3] + " again")]
+    left = stages["near_dedup"](spark, spark.createDataFrame(near, "doc_id long, text string"), small).collect()
+    assert {r["text"] for r in left} >= {words[0], words[2], words[3]} and len(left) == 4
+    assert len({r["text"] for r in left} & {words[1], words[1] + " end"}) == 1
+
+
 def test_run_equals_its_stages(spark, small, stages):
     assert corpus_pipeline.run(spark, small).select("doc_id", "piece", "ids_crc32").exceptAll(stages[5].select("doc_id", "piece", "ids_crc32")).count() == 0
