@@ -183,3 +183,30 @@ class MixedValues:
             x = splitmix(high ^ splitmix(low + np.uint64(delta << 33)))
             out.append(Sums((x >> np.uint64(32)) % PRIME, (x & MASK32) % PRIME))
         return out[0], out[1]
+
+
+class TabulatedValues:
+    """The universal family of the whole set: a 64-bit digest by bytes, each looked up in its own table of 256 random words.
+
+    The entries that the eight bytes pick are combined by exclusive or; either function has a set of tables of its own.
+    One half of the result is the sum, the other what a try's seed multiplies."""
+
+    BYTES = 8
+
+    def __init__(self, seed: int):
+        self.tables = random_words(seed, 2 * self.BYTES * 256, 4).reshape(2, self.BYTES, 256)
+
+    @property
+    def table_bytes(self) -> int:
+        return self.tables.nbytes
+
+    def looked_up(self, digest: np.ndarray, which: int) -> np.ndarray:
+        out = np.zeros(len(digest), np.uint64)
+        for k in range(self.BYTES):
+            out ^= self.tables[which, k][(digest >> np.uint64(8 * k) & np.uint64(0xFF)).astype(np.int64)]
+        return out
+
+    def sums(self, words: np.ndarray) -> tuple[Sums, Sums]:
+        digest = words[:, 0].astype(np.uint64) << np.uint64(32) | words[:, 1]
+        out = [self.looked_up(digest, k) for k in range(2)]
+        return tuple(Sums((x >> np.uint64(32)) % PRIME, (x & MASK32) % PRIME) for x in out)

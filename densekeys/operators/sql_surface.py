@@ -18,7 +18,7 @@ def register_lookup(spark: SparkSession, name: str, artifact: Artifact) -> None:
     """A SQL function from a string key (no longer than the table allows) to its id; null for null and for empty buckets.
 
     Only families that hash in Python can be called so; artifacts that are too large to travel are refused."""
-    if artifact.params.hash == "xx128":
+    if artifact.params.native:
         raise ValueError("use lookup() for the native family")
     if stored_bytes(artifact) > BROADCAST_BYTES:
         raise ValueError("the artifact is too large to travel; use lookup() in partitioned mode")

@@ -151,8 +151,6 @@ def build_core(df: DataFrame, cols: str | list[str], params: Params = Params(has
     n = df.count()
     if n > max_keys:
         raise ValueError(f"{n} rows exceed the {max_keys} that one task may hold; use build_two_level")
-    if params.hash == "universal":
-        params = replace(params, hash="xx128")
     return build_two_level(df, cols, replace(params, ell=max(n, 1), super_keys=max(n, 1)))
 
 

@@ -37,7 +37,7 @@ def _answers(functions, words: np.ndarray, b: int, params: Params, attempt: int)
 def _with_words(df: DataFrame, cols: list[str], artifact: Artifact) -> DataFrame:
     """The table with its key, or for the native family its two fingerprint halves."""
     key = encode_key(df, cols, artifact.params.max_bytes)
-    if artifact.params.hash == "xx128":
+    if artifact.params.native:
         hi, lo = native_words(key, artifact.params, artifact.attempt)
         return df.withColumns({"_hi": F.when(key.isNotNull(), hi), "_lo": lo})
     return df.withColumn("_key", key)
@@ -45,10 +45,10 @@ def _with_words(df: DataFrame, cols: list[str], artifact: Artifact) -> DataFrame
 
 def _batch_words(batch: pa.RecordBatch, params: Params, attempt: int) -> tuple[np.ndarray, np.ndarray]:
     """Rows that have a key, and their words."""
-    name = "_hi" if params.hash == "xx128" else "_key"
+    name = "_hi" if params.native else "_key"
     column = batch.column(batch.schema.get_field_index(name))
     some = np.flatnonzero(column.is_valid().to_numpy(zero_copy_only=False))
-    if params.hash == "xx128":
+    if params.native:
         hi, lo = (batch.column(batch.schema.get_field_index(c)).take(pa.array(some)).to_numpy() for c in ("_hi", "_lo"))
         return some, as_words(hi, lo)
     return some, words_of(column.take(pa.array(some)), params, attempt)[:, : word_count(params)]
@@ -87,7 +87,7 @@ def lookup(df: DataFrame, artifact: Artifact, cols: str | list[str] | None = Non
         return probe.mapInArrow(run, out_schema)
 
     # the super-bucket of a probe row needs its words; they travel instead of the key
-    if params.hash != "xx128":
+    if not params.native:
 
         def hashed(batches):
             for batch in batches:

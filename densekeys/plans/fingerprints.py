@@ -49,7 +49,7 @@ def fingerprint(df: DataFrame, cols: list[str], params: Params, attempt: int, su
     """A row for each non-null key: super-bucket, 128-bit fingerprint, and a check word that tells a repeated key from a collision."""
     keys = df.select(encode_key(df, cols, params.max_bytes).alias("key")).where("key is not null")
     top = F.shiftrightunsigned("hi", 64 - super_bits) if super_bits else F.lit(0).cast("long")
-    if params.hash == "xx128":
+    if params.native:
         hi, lo = native_words(F.col("key"), params, attempt)
         return keys.select(hi.alias("hi"), lo.alias("lo"), F.xxhash64("key", F.lit(71)).alias("check_word")).select(top.alias("super"), "hi", "lo", "check_word")
 

@@ -5,14 +5,14 @@ from __future__ import annotations
 from dataclasses import asdict, dataclass, field
 
 from densekeys.functions.encode import MAX_BYTES
-from densekeys.functions.hashing import ChunkTables, LinearHash, MixedValues, MixingHash
+from densekeys.functions.hashing import ChunkTables, LinearHash, MixedValues, MixingHash, TabulatedValues
 
 HASHES = ("linear", "mix96", "xx128", "universal")
 
 
 @dataclass(frozen=True)
 class Params:
-    """hash: linear (proved), mix96 or xx128 (heuristic); kind: phf (range 2 tau) or mphf (range n); layout: compressed or plain."""
+    """hash: linear (proved), mix96 or xx128 (heuristic), universal (tabulated values, for whole sets); kind: phf (range 2 tau) or mphf (range n); layout: compressed or plain."""
 
     hash: str = "linear"
     kind: str = "mphf"
@@ -39,6 +39,11 @@ class Params:
     def seeds_per_bucket(self) -> int:
         return 2 if self.hash == "mix96" else 1
 
+    @property
+    def native(self) -> bool:
+        """Whether fingerprints are the engine's own hashes."""
+        return self.hash in ("xx128", "universal")
+
     @property
     def fingerprint_bytes(self) -> int:
         return 12 if self.hash == "mix96" else 16
@@ -57,7 +62,7 @@ class Family:
         seed = (self.params.master_seed * 31 + self.attempt) & 0xFFFFFF
         p = self.params
         self.fingerprint = LinearHash(seed, p.max_bytes) if p.hash == "linear" else MixingHash(seed)
-        self.values = ChunkTables(seed, p.chunks) if p.hash == "linear" else MixedValues()
+        self.values = ChunkTables(seed, p.chunks) if p.hash == "linear" else TabulatedValues(seed) if p.hash == "universal" else MixedValues()
 
     @property
     def fixed_bytes(self) -> int:

@@ -4,6 +4,7 @@ import math
 import re
 
 import duckdb
+import numpy as np
 import pandas as pd
 import pytest
 from pyspark.sql import functions as F
@@ -12,7 +13,7 @@ import __spark_entry__
 from densekeys.functions.encode import encode_key
 from densekeys.plans.build import build_core, build_two_level
 from densekeys.plans.evaluate import lookup, verify
-from densekeys.plans.params import Params
+from densekeys.plans.params import Params, family
 from densekeys.workloads import registry
 from densekeys.workloads.relational import TABLES
 
@@ -106,6 +107,29 @@ def test_whole_set_is_refused_beyond_its_bound(spark):
         build_core(spark.range(100), "id", max_keys=10)
 
 
+@pytest.mark.parametrize("build", [build_core, build_two_level])
+def test_universal_is_a_family_of_its_own(spark, build):
+    df = spark.range(700).withColumnRenamed("id", "k")
+    artifact = build(df, "k", Params(hash="universal"))
+    assert artifact.params.hash == "universal"
+    tables = family(artifact.params, artifact.attempt).values.tables
+    assert tables.shape == (2, 8, 256) and len(np.unique(tables)) == tables.size
+    row = verify(df, artifact).first()
+    assert (row["n"], row["min_id"], row["max_id"], row["n_ids"]) == (700, 0, 699, 700)
+    other = build(df, "k", Params(hash="xx128"))
+    assert sorted(bytes(r["labels"]) for r in artifact.rows.collect()) != sorted(bytes(r["labels"]) for r in other.rows.collect())
+
+
+def test_tabulated_values_by_force():
+    values, words = family(Params(hash="universal"), 0).values, np.array([[0x01020304, 0xA0B0C0D0, 5, 6], [0, 0xFF, 7, 8]], np.uint32)
+    for which, sums in enumerate(values.sums(words)):
+        for row, key in enumerate(words.tolist()):
+            x = 0
+            for k, byte in enumerate(reversed((key[0] << 32 | key[1]).to_bytes(8, "big"))):
+                x ^= int(values.tables[which, k, byte])
+            assert (int(sums.a[row]), int(sums.b[row])) == ((x >> 32) % 4294967291, x % (1 << 32) % 4294967291)
+
+
 def test_unknown_keys_get_a_slot_or_null_but_never_fail(spark):
     artifact = build_two_level(spark.range(1000), "id", Params(hash="xx128"))
     found = lookup(spark.range(5000, 6000), artifact, slot="s", id="i")
