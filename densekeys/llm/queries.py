@@ -36,8 +36,7 @@ def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = warc.derive_pages(_table(spark, sf_dir, "pages"))
-    return rows.withColumn("record_bytes", F.octet_length("record").cast("long")).drop("record")
+    return warc.derive_pages(_table(spark, sf_dir, "pages")).withColumn("record", F.col("record").cast("string"))
 
 
 def op7_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -301,7 +301,7 @@ def test_derivatives_link_to_their_response():
     data = warc.response_of(7, "http://a.b/c", page)
     meta, text = warc.derive(data)
     headers, block = warc.parse_record(text["record"])
-    source, _ = warc.parse_record(data)
+    headers, source = warc.by_name(headers), warc.by_name(warc.parse_record(data)[0])
     assert headers["warc-refers-to"] == source["warc-record-id"] == meta["refers_to"] and headers["warc-target-uri"] == "http://a.b/c"
     assert block.decode() == "A & B\nOne\ntwo\nl" and text["block_digest"] == warc.digest(block) and headers["warc-date"] == source["warc-date"]
     assert "title: A & B\r\n" in meta["content"] and "outlinks: 1\r\n" in meta["content"] and meta["source_digest"] == source["warc-payload-digest"]
