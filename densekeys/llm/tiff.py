@@ -1,11 +1,15 @@
 """Media columns: a TIFF writer and reader, one row per page.
 
 The reader walks the chain of image directories, finds the strips or tiles of each, decodes none, PackBits,
-LZW or deflate data, undoes horizontal differencing (predictor 2) and puts tiles together. The writer makes
-the same forms, so that any bytes can be stored as 8-bit samples and read back.
-
-Defined cases: a null or empty payload becomes one row of padding; a broken file gives one row whose `error`
-is set and whose samples are null; repeated rows are decoded each; an empty table gives an empty result.
+LZW or deflate data, undoes horizontal differencing (predictor 2, of 8, 16 or 32 bits) or the floating-point
+predictor (3), joins separate sample planes and puts tiles together, in either byte order. The writer makes files
+of 8-bit samples, so that any bytes can be stored and read back; which scheme, predictor and layout a payload
+takes is told by its checksum, so that all of them are used at every size.
+
+A page larger than MAX_PAGE bytes, or whose blocks hold less than its directory claims, is an error; nothing is
+inflated beyond what the directory asks for. Defined cases: a null or empty payload becomes one row of padding;
+a broken file gives the pages before the break and one row with page -1 whose `error` is set and whose samples
+are null; repeated rows are decoded each; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,19 +27,20 @@ from densekeys.llm.common import id_and_text, text_bytes
 
 # Fixed values of the format: tags, compression schemes, sizes of field types.
 WIDTH, HEIGHT, BITS, COMPRESSION, PHOTOMETRIC, STRIP_OFFSETS, SAMPLES, ROWS_PER_STRIP, STRIP_COUNTS = 256, 257, 258, 259, 262, 273, 277, 278, 279
-PLANAR, PREDICTOR, TILE_WIDTH, TILE_HEIGHT, TILE_OFFSETS, TILE_COUNTS = 284, 317, 322, 323, 324, 325
+PLANAR, PREDICTOR, TILE_WIDTH, TILE_HEIGHT, TILE_OFFSETS, TILE_COUNTS, SAMPLE_FORMAT = 284, 317, 322, 323, 324, 325, 339
 NONE, LZW, DEFLATE, DEFLATE_OLD, PACKBITS = 1, 5, 8, 32946, 32773
 TYPE_SIZE = {1: 1, 2: 1, 3: 2, 4: 4, 5: 8, 6: 1, 7: 1, 8: 2, 9: 4, 10: 8, 11: 4, 12: 8}
 CLEAR, END = 256, 257
+MAX_PAGE = 1 << 28
 SCHEMES = {"none": NONE, "lzw": LZW, "deflate": DEFLATE, "packbits": PACKBITS}
 
 
 def packbits_encode(data: bytes) -> bytes:
     """Runs of three or more become a repeat, the rest literals of up to 128 bytes."""
-    out, n, start, i = bytearray(), len(data), 0, 0
+    out, n, start = bytearray(), len(data), 0
     values = np.frombuffer(data, np.uint8)
-    edges = np.flatnonzero(np.diff(values)) + 1 if n else np.zeros(0, int)
-    bounds = [0, *edges.tolist(), n] if n else []
+    bounds = np.concatenate([[0], np.flatnonzero(values[1:] != values[:-1]) + 1, [n]]) if n else np.zeros(1, int)
+    long = np.diff(bounds) >= 3
 
     def literal(a: int, b: int) -> None:
         for x in range(a, b, 128):
@@ -43,13 +48,12 @@ def packbits_encode(data: bytes) -> bytes:
             out.append(len(part) - 1)
             out.extend(part)
 
-    for i, j in zip(bounds, bounds[1:], strict=False):
-        if j - i >= 3:
-            literal(start, i)
-            for x in range(i, j, 128):
-                k = min(128, j - x)
-                out.extend((257 - k, data[i]) if k > 1 else (0, data[i]))
-            start = j
+    for i, j in zip(bounds[:-1][long].tolist(), bounds[1:][long].tolist(), strict=True):
+        literal(start, i)
+        for x in range(i, j, 128):
+            k = min(128, j - x)
+            out.extend((257 - k, data[i]) if k > 1 else (0, data[i]))
+        start = j
     literal(start, n)
     return bytes(out)
 
@@ -69,73 +73,73 @@ def packbits_decode(data: bytes, limit: int) -> bytes:
     return bytes(out)
 
 
+def code_widths(index: np.ndarray) -> np.ndarray:
+    """Bits of the codes that follow a clear code, by their place: 9, and one more from when the table could overflow them, up to 12."""
+    return 9 + (index >= 254) + (index >= 766) + (index >= 1790)
+
+
 def lzw_encode(data: bytes) -> bytes:
     """Codes of 9 to 12 bits, most significant bit first, widened one code early."""
-    acc = bits = 0
-    out = bytearray()
-    width, table = 9, {bytes([i]): i for i in range(256)}
-    nxt = 258
-
-    def put(code: int) -> None:
-        nonlocal acc, bits
-        acc = acc << width | code
-        bits += width
-        while bits >= 8:
-            bits -= 8
-            out.append(acc >> bits & 255)
-        acc &= (1 << bits) - 1
-
-    put(CLEAR)
-    held = b""
-    for i in range(len(data)):
-        longer = held + data[i : i + 1]
-        if longer in table:
-            held = longer
+    codes, table, top = [CLEAR], {}, END + 1
+    append, held = codes.append, -1
+    for byte in data:
+        if held < 0:
+            held = byte
             continue
-        put(table[held])
-        table[longer] = nxt
-        nxt += 1
-        held = data[i : i + 1]
-        if nxt == 4094:
-            put(CLEAR)
-            width, nxt, table = 9, 258, {bytes([k]): k for k in range(256)}
-        elif nxt == 1 << width:
-            width += 1
-    if held:
-        put(table[held])
-        nxt += 1
-        if nxt >= 1 << width and width < 12:
-            width += 1
-    put(END)
-    if bits:
-        out.append(acc << 8 - bits & 255)
-    return bytes(out)
+        key = held << 8 | byte
+        code = table.get(key)
+        if code is not None:
+            held = code
+            continue
+        append(held)
+        table[key] = top
+        top += 1
+        held = byte
+        if top == 4094:
+            append(CLEAR)
+            table.clear()
+            top = END + 1
+    if held >= 0:
+        append(held)
+    append(END)
+    values = np.array(codes, np.uint16)
+    place = np.arange(len(values))
+    cleared = np.maximum.accumulate(np.where(values == CLEAR, place, 0))
+    before = np.concatenate([[-1], cleared[:-1]])  # a clear code is still as wide as the codes it ends
+    width = code_widths(place - before - 1)
+    bits = np.unpackbits(values.astype(">u2").view(np.uint8)).reshape(-1, 16)
+    return np.packbits(bits[np.arange(16) >= 16 - width[:, None]]).tobytes()
 
 
 def lzw_decode(data: bytes, limit: int) -> bytes:
-    base = [bytes([i]) for i in range(256)] + [b"", b""]
-    table, width, acc, bits, out, last = list(base), 9, 0, 0, bytearray(), None
-    for byte in data:
-        acc, bits = acc << 8 | byte, bits + 8
-        if bits < width:
-            continue
-        bits -= width
-        code = acc >> bits
-        acc &= (1 << bits) - 1
-        if code == END or len(out) >= limit:
+    """What the codes stand for, at least `limit` bytes if there are so many; a code's string is found in the output, where it first arose."""
+    raw = np.frombuffer(data + b"\0\0\0", np.uint8).astype(np.uint32)
+    out, starts, at, end = bytearray(), [], 0, 8 * len(data)
+    while len(out) < limit:
+        width = code_widths(np.arange(len(starts), len(starts) + 1024))
+        offset = at + np.cumsum(width) - width
+        width, offset = width[offset + width <= end], offset[offset + width <= end]
+        if not len(width):
             break
-        if code == CLEAR:
-            table, width, last = list(base), 9, None
-            continue
-        if last is None:
-            entry = table[code]
-        else:
-            entry = table[code] if code < len(table) else last + last[:1]
-            table.append(last + entry[:1])
-        out += entry
-        last = entry
-        if len(table) >= (1 << width) - 1 and width < 12:
-            width += 1
+        word = raw[offset >> 3] << 16 | raw[(offset >> 3) + 1] << 8 | raw[(offset >> 3) + 2]
+        codes = word >> (24 - (offset & 7) - width).astype(np.uint32) & ((1 << width) - 1).astype(np.uint32)
+        stop = np.flatnonzero((codes == CLEAR) | (codes == END))
+        used = int(stop[0]) if len(stop) else len(codes)
+        at = int(offset[used] + width[used]) if len(stop) else int(offset[-1] + width[-1])
+        for code in codes[:used].tolist():
+            starts.append(len(out))
+            if code < CLEAR:
+                out.append(code)
+                continue
+            begin = starts[code - END - 1]
+            upto = starts[code - END] + 1
+            piece = out[begin:upto]
+            # the last byte of the newest string is its own first
+            out += piece if len(piece) == upto - begin else piece + piece[:1]
+        if len(stop):
+            if codes[used] == END:
+                break
+            starts = []
     return bytes(out)
 
 
@@ -153,7 +157,7 @@ def unpack(data: bytes, scheme: int, size: int) -> bytes:
     elif scheme == LZW:
         out = lzw_decode(data, size)
     elif scheme in (DEFLATE, DEFLATE_OLD):
-        out = zlib.decompress(data)
+        out = zlib.decompressobj().decompress(data, size) if size else b""
     elif scheme == NONE:
         out = data
     else:
@@ -210,7 +214,7 @@ def directories(data: bytes):
     """Fields of each image directory in the order of the chain; a loop in the chain is an error."""
     if data[:2] not in (b"II", b"MM"):
         raise ValueError("no TIFF header")
-    e = "<" if data[:2] == b"II" else ">"
+    e = byte_order(data)
     if struct.unpack_from(e + "H", data, 2)[0] != 42:
         raise ValueError("no TIFF header")
     (at,) = struct.unpack_from(e + "I", data, 4)
@@ -231,36 +235,68 @@ def directories(data: bytes):
         (at,) = struct.unpack_from(e + "I", data, at + 2 + 12 * n)
 
 
-def read_page(data: bytes, fields: dict[int, list[int]]) -> np.ndarray:
+def sample_type(fields: dict[int, list[int]], order: str) -> np.dtype:
+    bits, form = set(fields.get(BITS, [1])), set(fields.get(SAMPLE_FORMAT, [1]))
+    if len(bits) != 1 or len(form) != 1 or not bits <= {8, 16, 32} or not form <= {1, 2, 3, 4} or form == {3} and bits != {32}:
+        raise ValueError(f"samples of {sorted(bits)} bits and form {sorted(form)} are not supported")
+    # differences wrap alike in signed and unsigned samples, so their bytes are all that matters
+    return np.dtype(f"{order}{'f' if form == {3} else 'u'}{bits.pop() // 8}")
+
+
+def undone(part: np.ndarray, predictor: int, kind: np.dtype) -> np.ndarray:
+    """Samples of a block of shape (rows, columns, samples), given as raw bytes of shape (rows, bytes of a row)."""
+    h, samples = part.shape[0], part.shape[2]
+    if predictor == 3:
+        # byte planes, most significant first, differenced along the row
+        planes = np.cumsum(part.reshape(h, -1, samples), axis=1, dtype=np.uint8).reshape(h, kind.itemsize, -1)
+        return np.ascontiguousarray(planes.transpose(0, 2, 1)).view(kind.newbyteorder(">")).reshape(h, -1, samples)
+    values = part.reshape(h, -1).view(kind).reshape(h, -1, samples)
+    if predictor == 2:
+        whole = np.dtype(f"u{kind.itemsize}")
+        return np.cumsum(values.astype(kind.newbyteorder("=")).view(whole), axis=1, dtype=whole).view(kind.newbyteorder("="))
+    return values
+
+
+def read_page(data: bytes, fields: dict[int, list[int]], order: str = "<") -> np.ndarray:
+    """Samples of shape (height, width, samples), in the machine's byte order."""
     width, height, samples = fields[WIDTH][0], fields[HEIGHT][0], fields.get(SAMPLES, [1])[0]
-    if set(fields.get(BITS, [1])) != {8} or fields.get(PLANAR, [1])[0] != 1:
-        raise ValueError("only chunky 8-bit samples are supported")
-    scheme, predictor = fields.get(COMPRESSION, [NONE])[0], fields.get(PREDICTOR, [1])[0]
-    if predictor not in (1, 2):
-        raise ValueError(f"predictor {predictor} is not supported")
-
-    def block(at: int, size: int, h: int, w: int) -> np.ndarray:
-        part = np.frombuffer(unpack(data[at : at + size], scheme, h * w * samples), np.uint8).reshape(h, w, samples)
-        return np.cumsum(part, axis=1, dtype=np.uint8) if predictor == 2 else part
-
-    if TILE_OFFSETS in fields:
-        tw, th = fields[TILE_WIDTH][0], fields[TILE_HEIGHT][0]
-        across, down = -(-width // tw), -(-height // th)
-        full = np.zeros((down * th, across * tw, samples), np.uint8)
-        for k, (at, size) in enumerate(zip(fields[TILE_OFFSETS], fields[TILE_COUNTS], strict=True)):
-            y, x = k // across * th, k % across * tw
-            full[y : y + th, x : x + tw] = block(at, size, th, tw)
-        return full[:height, :width]
-    rows = fields.get(ROWS_PER_STRIP, [height])[0]
-    strips = [block(at, size, min(rows, height - k * rows), width) for k, (at, size) in enumerate(zip(fields[STRIP_OFFSETS], fields[STRIP_COUNTS], strict=True))]
-    return np.concatenate(strips) if strips else np.zeros((0, width, samples), np.uint8)
+    kind = sample_type(fields, order)
+    scheme, predictor, planar = fields.get(COMPRESSION, [NONE])[0], fields.get(PREDICTOR, [1])[0], fields.get(PLANAR, [1])[0]
+    if predictor not in (1, 2, 3) or (predictor == 3) != (kind.kind == "f") and predictor != 1:
+        raise ValueError(f"predictor {predictor} is not supported for these samples")
+    if planar not in (1, 2):
+        raise ValueError(f"planar configuration {planar}")
+    tiled = TILE_OFFSETS in fields
+    w, h = (fields[TILE_WIDTH][0], fields[TILE_HEIGHT][0]) if tiled else (width, min(height, fields.get(ROWS_PER_STRIP, [height])[0]))
+    if min(width, height, samples, w, h) < 1:
+        raise ValueError("a size is zero")
+    across, down = -(-width // w), -(-height // h)
+    planes, together = (samples, 1) if planar == 2 else (1, samples)
+    if across * w * (down * h if tiled else height) * samples * kind.itemsize > MAX_PAGE:
+        raise ValueError(f"a page of {width} by {height} by {samples} samples is larger than {MAX_PAGE} bytes")
+    starts, sizes = (fields[TILE_OFFSETS], fields[TILE_COUNTS]) if tiled else (fields[STRIP_OFFSETS], fields[STRIP_COUNTS])
+    if len(starts) != len(sizes) or len(starts) != across * down * planes:
+        raise ValueError(f"{len(starts)} blocks, not {across * down * planes}")
+    full = np.zeros((down * h if tiled else height, across * w, samples), kind.newbyteorder("="))
+    for k, (at, size) in enumerate(zip(starts, sizes, strict=True)):
+        plane, place = divmod(k, across * down)
+        y, x = place // across * h, place % across * w
+        rows = h if tiled else min(h, height - y)
+        raw = np.frombuffer(unpack(data[at : at + size], scheme, rows * w * together * kind.itemsize), np.uint8)
+        block = undone(raw.reshape(rows, -1, together), predictor, kind)
+        full[y : y + rows, x : x + w, plane : plane + together] = block
+    return full[:height, :width]
+
+
+def byte_order(data: bytes) -> str:
+    return ">" if data[:2] == b"MM" else "<"
 
 
 def read_tiff(data: bytes) -> list[np.ndarray]:
-    return [read_page(data, fields) for fields in directories(data)]
+    return [read_page(data, fields, byte_order(data)) for fields in directories(data)]
 
 
-PAGE_SCHEMA = "media_id long, page int, width int, height int, samples int, compression int, tiled boolean, data binary, error string"
+PAGE_SCHEMA = "media_id long, page int, width int, height int, samples int, bits int, compression int, tiled boolean, data binary, error string"
 
 
 def explode_pages(media: DataFrame, id_col: str = "media_id", data_col: str = "data") -> DataFrame:
@@ -272,13 +308,13 @@ def explode_pages(media: DataFrame, id_col: str = "media_id", data_col: str = "d
             for media_id, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 try:
                     for k, fields in enumerate(directories(data or b"")):
-                        page = read_page(data, fields)
-                        rows.append((media_id, k, page.shape[1], page.shape[0], page.shape[2], fields.get(COMPRESSION, [NONE])[0], TILE_OFFSETS in fields, page.tobytes(), None))
-                except (ValueError, KeyError, struct.error, zlib.error, IndexError) as e:
-                    rows.append((media_id, -1, None, None, None, None, None, None, f"{type(e).__name__}: {e}"))
-            kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.bool_(), pa.binary(), pa.string())
+                        page = read_page(data, fields, byte_order(data))
+                        rows.append((media_id, k, page.shape[1], page.shape[0], page.shape[2], 8 * page.itemsize, fields.get(COMPRESSION, [NONE])[0], TILE_OFFSETS in fields, page.tobytes(), None))
+                except (ValueError, KeyError, IndexError, ArithmeticError, MemoryError, struct.error, zlib.error) as e:
+                    rows.append((media_id, -1, None, None, None, None, None, None, None, f"{type(e).__name__}: {e}"))
+            kinds = (pa.int64(), *[pa.int32()] * 6, pa.bool_(), pa.binary(), pa.string())
             names = [x.split()[0] for x in PAGE_SCHEMA.split(", ")]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True) if rows else [[]] * 9, kinds, strict=True)], names)
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True) if rows else [[]] * len(kinds), kinds, strict=True)], names)
 
     return media.select(F.col(f"`{id_col}`").cast("long"), F.col(f"`{data_col}`").cast("binary")).mapInArrow(walk, PAGE_SCHEMA)
 
@@ -286,19 +322,25 @@ def explode_pages(media: DataFrame, id_col: str = "media_id", data_col: str = "d
 ROW_BYTES, ROWS_PER_PAGE = 192, 512
 
 
-def store_payload(payload: bytes) -> bytes:
-    """Rows of 64 pixels of three samples, a page for every 512 rows, deflate with horizontal differencing.
+#: What the writer makes, by the payload's checksum: scheme, predictor, rows of a strip, tile.
+FORMS = (
+    ("deflate", 2, 64, None),
+    ("deflate", 2, 0, (32, 16)),
+    ("packbits", 1, 64, None),
+    ("packbits", 2, 0, (16, 16)),
+    ("lzw", 2, 128, None),
+    ("lzw", 1, 0, (64, 16)),
+    ("none", 1, 512, None),
+    ("none", 2, 0, (32, 32)),
+)
 
-    Short payloads take the other schemes by their length alone, so that equal texts have equal stored forms."""
+
+def store_payload(payload: bytes) -> bytes:
+    """Rows of 64 pixels of three samples, a page for every 512 rows, in the form that the payload's checksum picks; equal texts have equal stored forms."""
     rows = np.frombuffer(payload, np.uint8).reshape(-1, 64, 3)
     pages = [rows[k : k + ROWS_PER_PAGE] for k in range(0, len(rows), ROWS_PER_PAGE)]
-    if len(rows) == 1:
-        return write_tiff(pages, "packbits")
-    if len(rows) == 2:
-        return write_tiff(pages, "lzw", predictor=2)
-    if len(rows) % 16 == 3:
-        return write_tiff(pages, "deflate", predictor=2, tile=(32, 16))
-    return write_tiff(pages, "deflate", predictor=2, rows_per_strip=64)
+    scheme, predictor, strip, tile = FORMS[zlib.crc32(payload) % len(FORMS)]
+    return write_tiff(pages, scheme, predictor, strip, tile)
 
 
 def features(pages: list[np.ndarray]) -> str:
