@@ -32,6 +32,35 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def deleted(spark: SparkSession, path: str) -> None:
+    """Delete a folder of the shared store, wherever that is."""
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+class Cuts:
+    """The written cuts of one call; `drop` deletes those that nothing reads any more."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark = spark
+        self.held: list[tuple[DataFrame, str]] = []
+
+    def write(self, df: DataFrame, label: str) -> DataFrame:
+        path = fresh_path(self.spark, label)
+        df.write.parquet(path)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        self.held.append((out, path))
+        return out
+
+    def drop(self, *but: DataFrame) -> None:
+        """All of them, but those that the result still reads."""
+        stay = [any(frame is b for b in but) for frame, _ in self.held]
+        for keep, (_, path) in zip(stay, self.held, strict=True):
+            if not keep:
+                deleted(self.spark, path)
+        self.held = [h for keep, h in zip(stay, self.held, strict=True) if keep]
+
+
 def id_and_text(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """Only the two columns an operator needs, so that clashing extra columns can't interfere."""
     return docs.select(

@@ -40,7 +40,11 @@ def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return exact_dedup.DigestIndex.create(spark).dedup(_table(spark, sf_dir, "documents"))
+    index = exact_dedup.DigestIndex.create(spark)
+    try:
+        return index.dedup(_table(spark, sf_dir, "documents"))
+    finally:
+        index.drop()  # the result doesn't read it
 
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -227,6 +227,25 @@ def test_exact_dedup_of_odd_rows(spark, odd, none):
     assert exact_dedup.DigestIndex.create(spark).dedup(none).count() == 0
 
 
+def test_index_is_opened_again_and_dropped(spark, tmp_path):
+    path = f"file:{tmp_path}/index"
+    index = exact_dedup.DigestIndex.create(spark, path=path, buckets=3)
+    index.dedup(spark.createDataFrame([(5, "a b")], "doc_id long, text string"))
+    index.drop(files=False)
+    again = exact_dedup.DigestIndex.open(spark, path)
+    assert again.buckets == 3 and again.read().count() == 1
+    got = {r["doc_id"]: (r["keep_id"], r["kept"]) for r in again.dedup(spark.createDataFrame([(1, "ab"), (2, "c")], "doc_id long, text string")).collect()}
+    assert got == {1: (5, False), 2: (2, True)} and again.read().count() == 2
+    again.drop()
+    assert not list(tmp_path.iterdir()) and not spark.catalog.tableExists(again.table)
+
+
+def test_extreme_ids_keep_their_order(spark):
+    least, most = -(1 << 63), (1 << 63) - 1
+    docs = spark.createDataFrame([(most, "x"), (0, "x"), (least, "x"), (None, "x")], "doc_id long, text string")
+    assert {r["keep_id"] for r in exact_dedup.DigestIndex.create(spark).dedup(docs).collect()} == {least}
+
+
 # --- URLs
 
 
