@@ -10,7 +10,8 @@ The vocabulary is a `tokenizers` file of the kind: NFC, white space to blanks, l
 letters, single digits, other signs and English endings, bytes as printable characters, word-end suffix.
 
 Defined cases: a null text is empty and has no tokens; the vocabulary's special strings in a text are their
-own tokens; repeated rows are encoded each; an empty table gives an empty result.
+own tokens; repeated rows are encoded each; an empty table gives an empty result. Code points that Python's
+character tables don't know yet count as unassigned signs, whatever a later library makes of them.
 """
 
 from __future__ import annotations
@@ -18,6 +19,7 @@ from __future__ import annotations
 import hashlib
 import heapq
 import json
+import os.path
 import unicodedata
 from collections.abc import Callable, Iterator
 from functools import lru_cache
@@ -53,6 +55,8 @@ class WordBpe:
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.tokens: dict[int, str] = {i: t for t, i in vocab.items()} | {i: t for t, i in self.special.items()}
         self.special_split = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
+        #: What every special string begins with; a text without it holds none.
+        self.special_start = os.path.commonprefix(list(self.special))
         signs = byte_signs()
         # ids and ranks of a small vocabulary take half as much room
         small = max(max(vocab.values()), len(model["merges"])) < 0xFFFF
@@ -158,7 +162,7 @@ class WordBpe:
 
     def chunks(self, text: str) -> list[str]:
         """Normalised runs between white space; a special string is a run of its own, marked by a leading NUL and blank."""
-        if self.special_split is None or "<|" not in text:
+        if self.special_split is None or self.special_start not in text:
             return plain_chunks(text)
         out = []
         for k, part in enumerate(self.special_split.split(text)):

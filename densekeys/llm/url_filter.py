@@ -2,8 +2,8 @@
 
 A rule is a host with a path prefix, or a free regular expression with the literal tokens that any match
 must contain. Every rule is filed under the token that the fewest URLs of the table hold; the tokens of a
-URL fetch candidate rules, and only those run their regular expression. Rules without a whole literal token
-are candidates of every URL. Of fitting host rules the longest decides; without one, a fitting free rule
+URL fetch candidate rules, and only those run their regular expression. A rule whose matches hold one of several
+tokens is given as one rule for each; rules without any whole literal token are candidates of every URL. Of fitting host rules the longest decides; without one, a fitting free rule
 decides; else the default.
 
 The token counts gathered from the table have at most one row per rule token, so their size is bounded by
@@ -59,7 +59,7 @@ RULES = (
     host_rule("allow", "com/fr/"),
     host_rule("block", "com/de/"),
     free_rule("tracking", "block", r"[?&]utm_source=", ("utm", "source")),
-    free_rule("executable", "block", r"\.(?:exe|zip|dmg)(?:$|[?#])", ()),
+    *(free_rule("executable", "block", rf"\.{kind}(?:$|[?#])", (kind,)) for kind in ("exe", "zip", "dmg")),
 )
 
 

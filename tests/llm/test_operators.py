@@ -261,6 +261,28 @@ def test_rules_by_rarest_token_equal_all_rules():
     assert index.judge(None, "allow") == ("", "", None, "allow")
 
 
+def test_thousands_of_rules_run_few_expressions():
+    """A URL runs the expressions filed under its own tokens, however many rules there are; the verdicts are those of running all."""
+    rng = random.Random(6)
+    words = [f"w{k}x" for k in range(400)]
+    rules = [url_filter.host_rule(rng.choice(["allow", "block"]), f"{rng.choice(words)}.{rng.choice(words)}.org/{rng.choice(words)}/") for _ in range(4000)]
+    rules += [url_filter.free_rule(f"free{k}", "block", rf"/{w}-[0-9]+/", (w,)) for k, w in enumerate(words)]
+    rules = tuple({r.name: r for r in (*rules, *url_filter.RULES[:5])}.values())
+    assert all(r.tokens for r in (*rules, *url_filter.RULES))
+    urls = [f"http://{rng.choice(words)}.{rng.choice(words)}.org/{rng.choice(words)}/{rng.choice(words)}-7/" for _ in range(150)]
+    urls += [f"http://sub.{r.name}page" for r in rng.sample(rules[:4000], 50)]
+    counts = defaultdict(int)
+    for u in urls:
+        for t in set(re.findall("[a-z0-9]+", u)):
+            counts[t] += 1
+    index = url_filter.RuleIndex(rules, counts)
+    every = url_filter.RuleIndex(tuple(url_filter.Rule(r.name, r.verdict, r.pattern, (), r.by_host) for r in rules), {})
+    for u in urls:
+        assert index.judge(u, "allow") == every.judge(u, "allow")
+    run = [len(index.candidates(u)) for u in urls]
+    assert not index.always and np.mean(run) < len(rules) / 50 and any(index.judge(u, "allow")[2] for u in urls)
+
+
 def test_url_table(spark):
     pages = spark.createDataFrame([(1, None), (2, "http://x.org/a"), (2, "http://x.org/a")], "page_id long, url string")
     assert [r["verdict"] for r in url_filter.filter_urls(pages).collect()] == ["allow"] * 3
@@ -362,6 +384,19 @@ def test_encoding_equals_the_library(text):
 LIBRARY: list = []
 
 
+def test_special_strings_are_found_by_what_they_share(tmp_path):
+    """Whatever the vocabulary calls special, its own start tells whether a text can hold it."""
+    import json
+
+    spec = json.load(open(VOCABULARY))
+    for t in spec["added_tokens"]:
+        t["content"] = "[[" + t["content"].strip("<|>") + "]]"
+    path = tmp_path / "v.json"
+    path.write_text(json.dumps(spec))
+    own, content = bpe.WordBpe(str(path)), spec["added_tokens"][0]["content"]
+    assert own.special_start.startswith("[[") and own.encode(f"a {content} b") == [*own.encode("a"), spec["added_tokens"][0]["id"], *own.encode("b")]
+
+
 def test_long_and_short_words_agree():
     own = bpe.loaded(VOCABULARY)
     words = [b"internationalization", b"x", bytes(range(97, 123)) * 1, "été".encode()]
