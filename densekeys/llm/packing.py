@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from densekeys.llm.bpe import as_bytes, glued_bytes, rendering
+from densekeys.llm.bpe import encoder
 from densekeys.llm.common import id_and_text, text_strings, written
 
 CAPACITY = 2048
@@ -41,11 +41,11 @@ def pieces(docs: DataFrame, vocabulary: str, capacity: int = CAPACITY, id_col: s
     """Every document's ids and the end token, cut only where longer than a sequence."""
 
     def run(batches):
-        words = rendering(vocabulary, as_bytes, glued_bytes)
+        words = encoder(vocabulary)
         for batch in batches:
             rows = []
-            for doc_id, parts in zip(batch.column(0).to_pylist(), words.texts(text_strings(batch.column(1))), strict=True):
-                ids = b"".join(parts) + b"\0\0\0\0"
+            for doc_id, found in zip(batch.column(0).to_pylist(), words.texts(text_strings(batch.column(1))), strict=True):
+                ids = found.astype("<u4").tobytes() + b"\0\0\0\0"
                 for k in range(0, len(ids), 4 * capacity):
                     part = ids[k : k + 4 * capacity]
                     rows.append((doc_id, k // (4 * capacity), k // 4, len(part) // 4, zlib.crc32(part)))

@@ -400,17 +400,30 @@ def test_special_strings_are_found_by_what_they_share(tmp_path):
 def test_long_and_short_words_agree():
     own = bpe.loaded(VOCABULARY)
     words = [b"internationalization", b"x", bytes(range(97, 123)) * 1, "été".encode()]
-    assert [own.long_word(w) for w in words] == own.short_words(words)
+    data, size = np.frombuffer(b"".join(words), np.uint8), np.array([len(w) for w in words])
+    ids, n = own.short_words(data, np.cumsum(size) - size, size)
+    assert [x.tolist() for x in np.split(ids, np.cumsum(n)[:-1])] == [own.long_word(w).tolist() for w in words]
 
 
-def test_memory_in_generations_changes_nothing(monkeypatch, spark, small):
-    monkeypatch.setattr(bpe, "CACHE_WORDS", 50)
+def test_memory_given_up_changes_nothing(monkeypatch, spark, small):
+    monkeypatch.setattr(bpe, "KEPT_WORDS", 300)
     monkeypatch.setattr(bpe, "BLOCK_CHARS", 2000)
     library = Tokenizer.from_file(VOCABULARY)
-    texts = [r["text"] for r in spark.read.parquet(f"{small}/documents.parquet").select("text").limit(60).collect()]
-    got = bpe.Rendering(bpe.loaded(VOCABULARY), bpe.list_of, bpe.concatenated).texts(texts)
-    for t, parts in zip(texts, got, strict=True):
-        assert bpe.concatenated(parts) == library.encode(t, add_special_tokens=False).ids
+    texts = [r["text"] for r in spark.read.parquet(f"{small}/documents.parquet").select("text").limit(60).collect()] + ["x" * 200 + " a " + "y" * 90 + "<|endoftext|>b"]
+    for t, ids in zip(texts, bpe.Encoder(bpe.loaded(VOCABULARY)).texts(texts), strict=True):
+        assert ids.tolist() == library.encode(t, add_special_tokens=False).ids
+
+
+def test_words_of_one_hash_are_told_apart(monkeypatch):
+    """Both tables of byte hashes made to agree for two letters: the second print tells, else nothing could."""
+    table = bpe.BYTE_WORDS.copy()
+    table[ord("b")] = table[ord("a")]
+    monkeypatch.setattr(bpe, "BYTE_WORDS", table)
+    own, encoder = bpe.loaded(VOCABULARY), bpe.Encoder(bpe.loaded(VOCABULARY))
+    library = Tokenizer.from_file(VOCABULARY)
+    for text in ("bat", "aat", "aat bat cab caa", "caa"):
+        assert next(encoder.texts([text])).tolist() == library.encode(text, add_special_tokens=False).ids
+    assert own is encoder.bpe
 
 
 def test_digests_follow_ids_and_texts(spark, odd, none):
