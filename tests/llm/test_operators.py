@@ -37,6 +37,11 @@ def none(spark):
     return spark.createDataFrame([], SCHEMA)
 
 
+@pytest.fixture(scope="module")
+def larger() -> str:
+    return "/root/testdata/sf0.1"
+
+
 # --- suffix arrays
 
 WINDOW = suffix_dedup.WINDOW
@@ -458,12 +463,47 @@ def test_packing_is_gapless_whole_and_tight(spark, odd, none, small):
     assert packing.pack_documents(none, VOCABULARY).count() == 0
 
 
-def test_evolution_beats_or_meets_best_fit():
-    rng = np.random.default_rng(0)
-    sizes = rng.integers(300, 1100, 400)
-    plain = packing.refilled(np.full(400, -1), sizes, 2048, rng, 0.0)
-    best = packing.evolve(sizes, [plain.groups], 2048, 1, generations=10)
-    assert len(best.fill) <= len(plain.fill) and best.fill.max() <= 2048 and best.fill.sum() == sizes.sum()
+def triplets(n: int, seed: int) -> np.ndarray:
+    """Sizes that three by three fill n bins, which best fit doesn't find."""
+    rng = np.random.default_rng(seed)
+    a = rng.integers(780, 1000, n)
+    b = np.array([rng.integers(512, (2048 - x) // 2 + 1) for x in a])
+    return np.concatenate([a, b, 2048 - a - b])
+
+
+def best_fit_bins(sizes: np.ndarray) -> int:
+    return len(packing.refilled(np.full(len(sizes), -1), sizes, 2048, np.random.default_rng(0), 0.0).fill)
+
+
+@pytest.mark.parametrize("sizes", [triplets(60, 1), triplets(300, 2), np.random.default_rng(0).integers(300, 1100, 400), np.random.default_rng(4).integers(200, 1000, 1500)])
+def test_crossing_packs_what_best_fit_cannot(sizes):
+    """Fewer bins than best fit of the largest first, and than without crossings. Nothing is handed in."""
+    begun, none = packing.evolve(sizes, [], 2048, 1, generations=0)
+    best, crossings = packing.evolve(sizes, [], 2048, 1, population=8, generations=20)
+    assert none == 0 and crossings > 0 and len(best.fill) < min(best_fit_bins(sizes), len(begun.fill))
+    assert best.fill.max() <= 2048 and best.fill.sum() == sizes.sum() and len(best.groups) == len(sizes)
+
+
+def test_real_shards_are_packed_by_crossings(spark, larger):
+    """On the lengths of real documents, crossings reach what can't be beaten by more than a bin, from begins that are several away."""
+    sizes = np.array([min(2048, 1 + len(r["text"].split())) for r in spark.read.parquet(f"{larger}/documents.parquet").select("text").collect()])
+    for shard in np.array_split(sizes, 3):
+        least = -(-int(shard.sum()) // 2048)
+        begun, _ = packing.evolve(shard, [], 2048, 3, generations=0)
+        best, crossings = packing.evolve(shard, [], 2048, 3)
+        assert crossings > 0 and len(best.fill) <= least + 1 < len(begun.fill)
+
+
+def test_elites_migrate_and_win():
+    sizes = triplets(60, 3)
+    good, _ = packing.evolve(sizes, [], 2048, 1, population=8, generations=20)
+    other, _ = packing.evolve(sizes, [good.groups], 2048, 2, generations=0)
+    assert (other.groups == good.groups).all()
+
+
+def test_repeated_rows_are_dealt_to_all_shards(spark):
+    rows = packing.pack(packing.written(spark.createDataFrame([(None, 0, 0, 700, 5)] * 400, packing.PIECE_SCHEMA).repartition(4), "pieces"), shard_pieces=50).collect()
+    assert len(rows) == 400 and len({r["sequence_id"] >> 24 for r in rows}) >= 6 and len({r["sequence_id"] for r in rows}) <= 210
 
 
 # --- classifiers
@@ -473,11 +513,6 @@ def held_out(doc_id: int, modulus: int, remainder: int) -> bool:
     return zlib.crc32(str(doc_id).encode()) % modulus == remainder
 
 
-@pytest.fixture(scope="module")
-def larger() -> str:
-    return "/root/testdata/sf0.1"
-
-
 @pytest.mark.parametrize("operator,label,modulus,remainder,least", [(quality, "quality", 4, 2, 0.95), (toxicity, "toxic", 5, 0, 0.9)])
 def test_held_out_accuracy(spark, larger, operator, label, modulus, remainder, least):
     docs, labels = (spark.read.parquet(f"{larger}/{t}.parquet") for t in ("documents", "labels"))
