@@ -5,13 +5,15 @@
    of all it has can't link; that leaves the candidates.
 2. Candidates with equal sets collapse to one node. Two linked nodes hold a common shingle among the rarest
    of each, of which there are `shared - three quarters of all + 1`; the nodes that hold one form its block.
-3. A first round links nodes with the smallest node of their blocks, so that a group of near copies becomes
+3. Pairs are found in count-vector R-trees: shingles are hashed to GROUPS groups, the counts of a set are a point,
+   boxes hold the largest count of each coordinate and the range of sizes, and the summed minima of query and box
+   bound the overlap from above. In a first round each node goes to the block that it shares most shingles with
+   the smallest node of, and that node is looked up in the block's tree, so that a group of near copies becomes
    one component by as many checks as it has nodes.
-4. In each block that still has several components, the nodes outside its largest component are looked up
-   in a count-vector R-tree of the block: shingles are hashed to GROUPS groups, the counts are a point, boxes hold
-   the largest count of each coordinate and the range of sizes. The summed minima of query and box bound the
-   overlap from above. Large blocks are split among tasks, each with all the outside nodes.
-5. Surviving pairs of different components are verified on the sets; no link can be lost, since a pair is either
+4. In each block that still has several components, the nodes outside its largest component are looked up in
+   the block's tree. Blocks are divided by size, as linked sets differ by at most a third, and large ones are split
+   among tasks, by the square root of their number of nodes, so that copies of queries and trees grow alike.
+5. Pairs that the trees let through are verified on the sets; no link can be lost, since a pair is either
    within one component, or bounded below the threshold, or verified.
 
 Defined cases: null and empty texts and texts without words have no shingles and link with nothing; fewer
@@ -21,6 +23,7 @@ words than a shingle are one shingle as a whole; a null id takes part in no link
 
 from __future__ import annotations
 
+import math
 import uuid
 
 import numpy as np
@@ -28,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from densekeys.llm.common import fresh_path, mix64, seeded_words, written
+from densekeys.llm.common import Cuts, deleted, fresh_path, mix64, seeded_words
 from densekeys.llm.components import components
 from densekeys.llm.sharing import NO_ID, Parts, answered, codes_of
 from densekeys.llm.words import blocks, hashed_words
@@ -36,7 +39,7 @@ from densekeys.llm.words import blocks, hashed_words
 WORDS = 5
 GROUPS = 128
 LEAF, FAN = 8, 8
-BLOCK_NODES = 20_000
+BLOCK_NODES = 500
 PAIRS_TOGETHER = 5_000
 PLACE = seeded_words(23, WORDS) | np.uint64(1)
 PREFIX_SCHEMA = "doc_id long, n_shingles long, candidate boolean, print_a long, print_b long, counts binary, shared binary, rarest array<long>"
@@ -162,39 +165,94 @@ class CountTree:
         return self.order[may(at, self.counts, self.sizes, self.sizes)]
 
 
+BLOCK_ROW = ("block", "task", "doc_id", "n_shingles", "component", "counts", "role")
+#: What a row of a block is: a point of its tree, a query, or both.
+POINT, QUERY = 1, 2
+
+
 def block_pairs(batches):
-    """Pairs of different components that the tree of their block lets through; rows come sorted by block and task."""
+    """Pairs of different components that the tree of their block lets through; rows (BLOCK_ROW) come sorted by block and task."""
 
     def pairs(rows: list[tuple]):
+        role = np.array([r[6] for r in rows])
+        points, queries = np.flatnonzero(role & POINT), np.flatnonzero(role & QUERY)
+        if not len(points) or not len(queries):
+            return
         docs, sizes, labels = (np.array([r[k] for r in rows], np.int64) for k in (2, 3, 4))
         counts = np.stack([np.frombuffer(r[5], np.uint16 if len(r[5]) == 2 * GROUPS else np.uint32) for r in rows]).astype(np.uint32)
-        tree = CountTree(counts, sizes)
-        for i in (k for k, r in enumerate(rows) if r[6]):
-            for j in tree.search(counts[i].astype(np.int64), int(sizes[i])).tolist():
-                if labels[i] != labels[j]:
-                    yield (int(min(docs[i], docs[j])), int(max(docs[i], docs[j])))
-
-    def emit(found: set):
-        a, b = zip(*found, strict=True) if found else ((), ())
-        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
-
-    held: list[tuple] = []
-    found: set[tuple[int, int]] = set()
-    for batch in batches:
-        for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-            if held and row[:2] != held[0][:2]:
-                found.update(pairs(held))
-                held = []
-                if len(found) > 100_000:
-                    yield emit(found)
-                    found = set()
-            held.append(row)
-    if held:
-        found.update(pairs(held))
-    yield emit(found)
-
-
-def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+        tree = CountTree(counts[points], sizes[points])
+        for i in queries:
+            j = points[tree.search(counts[i].astype(np.int64), int(sizes[i]))]
+            j = j[labels[j] != labels[i]]
+            if len(j):
+                yield np.minimum(docs[j], docs[i]), np.maximum(docs[j], docs[i])
+
+    def emit(found: list):
+        a, b = (np.concatenate(x) for x in zip(*found, strict=True))
+        kept = np.unique(np.stack([a, b], axis=1), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(kept[:, k])) for k in range(2)], ["a", "b"])
+
+    def blocks_of():
+        held: list[tuple] = []
+        for batch in batches:
+            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if held and row[:2] != held[0][:2]:
+                    yield held
+                    held = []
+                held.append(row)
+        if held:
+            yield held
+
+    found, n = [], 0
+    for rows in blocks_of():
+        for pair in pairs(rows):
+            found.append(pair)
+            n += len(pair[0])
+            if n > 100_000:
+                yield emit(found)
+                found, n = [], 0
+    if found:
+        yield emit(found)
+
+
+def searched(rows: DataFrame) -> DataFrame:
+    """Pairs a < b from rows of blocks, each block's task a tree of its own."""
+    return rows.select(*BLOCK_ROW).repartition("block", "task").sortWithinPartitions("block", "task").mapInArrow(block_pairs, "a long, b long").distinct()
+
+
+def split_of(n, block_nodes: int):
+    """Tasks of a block of n points."""
+    return F.ceil(F.sqrt(n / block_nodes)).cast("int")
+
+
+def star_rows(stars: DataFrame, nodes: DataFrame, block_nodes: int, cuts: Cuts) -> DataFrame:
+    """A block for each first node: the nodes that chose it are points, it is the query."""
+    size = cuts.write(stars.groupBy("first").agg(split_of(F.count(F.lit(1)), block_nodes).alias("split")), "star-sizes")
+    point = stars.join(size, "first").join(nodes.select("doc_id", "n_shingles", "counts"), "doc_id")
+    point = point.select(F.col("first").alias("block"), F.pmod(F.xxhash64("doc_id"), "split").cast("int").alias("task"), "doc_id", "n_shingles", F.col("doc_id").alias("component"), "counts", F.lit(POINT).alias("role"))
+    query = size.join(nodes.select(F.col("doc_id").alias("first"), "n_shingles", "counts"), "first")
+    query = query.select(F.col("first").alias("block"), F.explode(F.sequence(F.lit(0), F.col("split") - 1)).alias("task"), F.col("first").alias("doc_id"), "n_shingles", F.col("first").alias("component"), "counts", F.lit(QUERY).alias("role"))
+    return point.unionByName(query)
+
+
+def mixed_rows(held: DataFrame, nodes: DataFrame, block_nodes: int, cuts: Cuts) -> DataFrame:
+    """Blocks of several components, divided by size: all their nodes are points, those outside the largest component queries.
+
+    `held`: doc_id, n_shingles, component, shingle. Sets that link differ by one size class at most, so a query also goes to both neighbours."""
+    by_label = held.groupBy("shingle", "component").agg(F.count(F.lit(1)).alias("n"))
+    mixed = cuts.write(by_label.groupBy("shingle").agg(F.count(F.lit(1)).alias("labels"), F.max_by("component", F.struct("n", "component")).alias("major")).where("labels > 1").select("shingle", "major"), "mixed-blocks")
+    scale = F.log(F.col("n_shingles").cast("double")) / math.log(4 / 3)
+    at = held.join(mixed, "shingle").withColumn("class", F.floor(scale).cast("int"))
+    split = cuts.write(at.groupBy("shingle", "class").agg(split_of(F.count(F.lit(1)), block_nodes).alias("split")), "block-sizes")
+    point = at.join(split, ["shingle", "class"]).select("shingle", "class", F.pmod(F.xxhash64("doc_id"), "split").cast("int").alias("task"), "doc_id", "component", F.lit(POINT).alias("role"))
+    near = F.explode(F.sequence(F.floor(scale - 1 - 1e-9).cast("int"), F.floor(scale + 1 + 1e-9).cast("int")))
+    query = at.where("component <> major").withColumn("class", near).join(split, ["shingle", "class"])
+    query = query.select("shingle", "class", F.explode(F.sequence(F.lit(0), F.col("split") - 1)).alias("task"), "doc_id", "component", F.lit(QUERY).alias("role"))
+    both = point.unionByName(query).groupBy("shingle", "class", "task", "doc_id", "component").agg(F.sum("role").cast("int").alias("role"))
+    return both.join(nodes.select("doc_id", "n_shingles", "counts"), "doc_id").withColumn("block", F.xxhash64("shingle", "class"))
+
+
+def verified(pairs: DataFrame, sets: DataFrame, cuts: Cuts) -> DataFrame:
     """The pairs whose sets overlap by at least three quarters.
 
     `sets` is bucketed by doc_id, so only pairs travel to it. The set of b goes to its pair; that of a, which may
@@ -210,7 +268,7 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
         return sets.where("shared is not null").select(F.col("doc_id").alias(name), F.col("n_shingles").alias(f"n{name}"), F.col("shared").alias(f"s{name}"))
 
     copies = F.ceil(F.count(F.lit(1)) / PAIRS_TOGETHER).cast("int")
-    often = written(pairs.groupBy("a").agg(copies.alias("copies")), "pair-heads")
+    often = cuts.write(pairs.groupBy("a").agg(copies.alias("copies")), "pair-heads")
     heads = often.join(side("a"), "a").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("copies") - 1))).drop("copies")
     told = pairs.join(often, "a").withColumn("copy", F.pmod(F.xxhash64("b"), F.col("copies")).cast("int")).drop("copies")
     fits = (4 * F.col("nb") >= 3 * F.col("na")) & (4 * F.col("na") >= 3 * F.col("nb"))
@@ -221,56 +279,53 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_nodes: int = BLOCK_NODES) -> DataFrame:
     """doc_id, n_shingles, component_id of every document."""
     spark = docs.sparkSession
-    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    cuts = Cuts(spark)
     parts = Parts(docs, id_col, text_col)
-    table = f"shingle_sets_{uuid.uuid4().hex}"
+    table, path = f"shingle_sets_{uuid.uuid4().hex}", fresh_path(spark, "shingle-sets")
     found = answered(parts, send, merge, receive, PREFIX_SCHEMA)
-    found.write.format("parquet").bucketBy(parts.parts, "doc_id").option("path", fresh_path(spark, "shingle-sets")).saveAsTable(table)
+    found.write.format("parquet").bucketBy(parts.files, "doc_id").option("path", path).saveAsTable(table)
     sets = spark.table(table)
     equal = ["n_shingles", "print_a", "print_b"]
     candidates = sets.where("candidate").select("doc_id", *equal)
     # a set is kept once for each part, so the node of equal sets is the smallest id that came with one
-    heads = written(
+    heads = cuts.write(
         sets.where("candidate").groupBy(*equal).agg(F.min(F.when(F.col("shared").isNotNull(), F.col("doc_id"))).alias("node"), F.min("doc_id").alias("least")), "heads"
     )
     is_node = heads.select(F.col("node").alias("doc_id"), F.col("print_a").alias("of_a"), F.col("print_b").alias("of_b"))
     nodes = sets.where("shared is not null").drop("shared", "candidate").join(is_node, "doc_id").where("print_a = of_a and print_b = of_b")
-    nodes = written(nodes.select("doc_id", "n_shingles", "counts", "rarest"), "nodes")
+    nodes = cuts.write(nodes.select("doc_id", "n_shingles", "counts", "rarest"), "nodes")
     holders = nodes.select("doc_id", F.explode("rarest").alias("shingle"))
-    first = written(holders.groupBy("shingle").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1"), "block-heads")
+    first = cuts.write(holders.groupBy("shingle").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1"), "block-heads")
     stars = (
         holders.join(first, "shingle")
         .where("doc_id <> first")
         .groupBy("doc_id", "first")
         .count()
         .groupBy("doc_id")
-        .agg(F.max_by("first", F.struct("count", -F.col("first"))).alias("first"))
+        .agg(F.max_by("first", F.struct("count", F.bitwise_not("first"))).alias("first"))
     )
-    links = written(verified(written(stars.select(F.col("first").alias("a"), F.col("doc_id").alias("b")), "stars"), sets), "star-links")
-    labels = components(links)
+    stars = cuts.write(stars, "stars")
+    pairs = cuts.write(searched(star_rows(stars, nodes, block_nodes, cuts)), "star-pairs")
+    links = cuts.write(verified(pairs, sets, cuts), "star-links")
+    labels = components(links, cuts)
 
     held = nodes.join(labels.withColumnRenamed("vertex", "doc_id"), "doc_id", "left").select(
-        "doc_id", F.coalesce("component", "doc_id").alias("component"), F.explode("rarest").alias("shingle")
+        "doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component"), F.explode("rarest").alias("shingle")
     )
-    held = written(held.join(first.select("shingle"), "shingle", "left_semi"), "holders")
-    by_label = held.groupBy("shingle", "component").agg(F.count(F.lit(1)).alias("n"))
-    mixed = written(
-        by_label.groupBy("shingle").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("labels"), F.max_by("component", F.struct("n", "component")).alias("major")).where("labels > 1"),
-        "mixed-blocks",
-    )
-    outside = F.col("component") != F.col("major")
-    split = F.ceil(F.col("n") / block_nodes).cast("int")
-    task = F.when(outside, F.sequence(F.lit(0), split - 1)).otherwise(F.array(F.pmod(F.xxhash64("doc_id"), split).cast("int")))
-    looked = held.join(mixed, "shingle").select("shingle", F.explode(task).alias("task"), "doc_id", "component", outside.alias("query"))
-    looked = looked.join(nodes.select("doc_id", "n_shingles", "counts"), "doc_id").select("shingle", "task", "doc_id", "n_shingles", "component", "counts", "query")
-    pairs = looked.repartition(tasks, "shingle", "task").sortWithinPartitions("shingle", "task").mapInArrow(block_pairs, "a long, b long").distinct()
-    more = written(verified(written(pairs, "pairs"), sets), "links")
+    held = cuts.write(held.join(first.select("shingle"), "shingle", "left_semi"), "holders")
+    pairs = cuts.write(searched(mixed_rows(held, nodes, block_nodes, cuts)), "pairs")
+    more = cuts.write(verified(pairs, sets, cuts), "links")
     if more.limit(1).count():
-        labels = components(links.unionByName(more))
+        labels = components(links.unionByName(more), cuts)
 
     # a component's smallest document may be a copy whose set another part's copy stands for
     named = heads.join(labels.withColumnRenamed("vertex", "node"), "node", "left").withColumn("component", F.coalesce("component", "node"))
     least = named.groupBy("component").agg(F.min("least").alias("component_id"))
-    groups = written(named.join(least, "component").select(*equal, "component_id"), "groups")
+    groups = cuts.write(named.join(least, "component").select(*equal, "component_id"), "groups")
     known = candidates.join(groups, equal).groupBy("doc_id").agg(F.min("component_id").alias("component_id"))
-    return sets.select("doc_id", "n_shingles").join(known, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    out = sets.select("doc_id", "n_shingles").join(known, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    out = cuts.write(out, "near-groups")
+    cuts.drop(out)
+    spark.sql(f"DROP TABLE {table}")
+    deleted(spark, path)
+    return out

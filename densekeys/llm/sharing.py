@@ -22,6 +22,8 @@ from densekeys.llm.common import give_back, id_and_text, text_bytes
 
 PART_BYTES = 4 << 20
 PACKED_ROWS = 4000
+#: Tables bucketed by document have no more buckets than this, however many parts there are.
+MOST_FILES = 8192
 NO_ID = np.iinfo(np.int64).max
 BLOB_SCHEMA = "part long, ids binary, sizes binary, texts binary, others binary"
 
@@ -48,13 +50,17 @@ def unsqueezed_sorted(data: bytes, dtype) -> np.ndarray:
 
 
 class Parts:
-    """Documents dealt to parts: packed texts, the number of parts, and of buckets; `carry` names columns that travel along."""
+    """Documents dealt to parts: packed texts, the number of parts, and of buckets; `carry` names columns that travel along.
+
+    `files` divides `parts`, so that a part writes to one bucket of a table bucketed by document into so many."""
 
     def __init__(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", part_bytes: int = PART_BYTES, carry: tuple[str, ...] = ()):
         rows = id_and_text(docs, id_col, text_col)
         size = rows.agg(F.sum(F.octet_length("text")).alias("size")).first()["size"] or 0
         tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         self.parts = max(tasks, -(-size // part_bytes))
+        self.files = min(self.parts, MOST_FILES)
+        self.parts = -(-self.parts // self.files) * self.files
         self.buckets = max(tasks, self.parts // 2)
         key = F.pmod(F.hash(F.coalesce("doc_id", F.xxhash64("text"))), F.lit(self.parts)).cast("long")
         self.blobs = rows.withColumn("part", key).mapInArrow(packed, BLOB_SCHEMA)

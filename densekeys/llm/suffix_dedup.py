@@ -6,7 +6,9 @@ Candidates: every window has an anchor, the smallest of its hashed SEED-byte str
 have equal anchors. Anchors that two documents hold are found by `sharing`; only windows of such anchors can
 repeat. The answer to an anchor is a route: anchors of few documents go with the first document that holds
 them, so that neighbouring windows travel as one segment; frequent ones, and those first seen in a very long
-document, go alone, once per part and distinct context, so that no group of copies gathers in one task.
+document, go alone, once per part and distinct context. Those of more than HOT documents are taken apart: windows
+of STEP neighbouring places around the anchor hold the same bytes in their middle, and go by these, so that one
+passage of very many documents is dealt to many tasks, and none gets more than the parts have of one middle.
 
 Suffix arrays: the segments of some routes are put one after another and sorted in two stages. Suffixes
 smaller than their successors are sorted directly; the others are induced by one scan over the buckets of
@@ -24,6 +26,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -36,18 +39,21 @@ from densekeys.llm.words import blocks, joined, hashes_between, prefix_sums
 WINDOW = 50
 SEED = 18
 FEW = 16
+HOT = 256
+STEP = 8
 LONG_DOCUMENT = 1 << 16
 SORT_BYTES = 1 << 20
 ALONE = np.uint64(1 << 62)
+APART = np.uint64(1 << 61)
 SEPARATOR = b"\xff"
 
 
-def anchors(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Of every anchor in order: text, first and last window start in the text, and hash. Only for one block of texts."""
+def anchors(texts: list[bytes]) -> tuple[np.ndarray, ...]:
+    """Of every anchor in order: text, first and last window start, and place, in the text, and hash. Only for one block of texts."""
     data, bounds = joined(texts)
     n = len(data) - WINDOW
     if n < 0:
-        return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64))
+        return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.int64, np.uint64))
     seeds = np.arange(len(data) - SEED + 1)
     prints = hashes_between(prefix_sums(data), seeds, seeds + SEED)
     # the place in the low bits makes the leftmost of equal ones the smallest
@@ -63,7 +69,8 @@ def anchors(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.
     start, text, owner = start[inside], text[inside], (least[inside] & np.uint64((1 << 28) - 1)).astype(np.int64)
     first = np.flatnonzero((np.diff(owner, prepend=-1) != 0) | (np.diff(text, prepend=-1) != 0))
     last = np.append(first[1:], len(start)) - 1
-    return text[first], start[first] - bounds[text[first]], start[last] - bounds[text[first]], prints[owner[first]]
+    begin = bounds[text[first]]
+    return text[first], start[first] - begin, start[last] - begin, owner[first] - begin, prints[owner[first]]
 
 
 def all_anchors(texts: list[bytes]) -> tuple[np.ndarray, ...]:
@@ -76,7 +83,7 @@ def all_anchors(texts: list[bytes]) -> tuple[np.ndarray, ...]:
 
 def send(ids: np.ndarray, texts: list[bytes], buckets: int):
     """For each anchor of the part: its first document, how many documents hold it, whether that first one is long."""
-    text, _, _, prints = all_anchors(texts)
+    text, *_, prints = all_anchors(texts)
     codes = codes_of(prints, buckets)
     order = np.lexsort((text, codes))
     codes, text = codes[order], text[order]
@@ -100,7 +107,8 @@ def merge(codes: np.ndarray, arrays: list[np.ndarray]) -> np.ndarray:
     alone = (total > FEW) | (long[order][first] > 0) | (home == NO_ID)
     with np.errstate(over="ignore"):
         along = mix64(home.astype(np.uint64)) >> np.uint64(2) | np.uint64(1)
-        own = mix64(codes_sorted[first].astype(np.uint64) + (home.astype(np.uint64) << np.uint64(20))) >> np.uint64(2) | ALONE
+        own = mix64(codes_sorted[first].astype(np.uint64) + (home.astype(np.uint64) << np.uint64(20))) >> np.uint64(3) | ALONE
+    own = np.where(total > HOT, own | APART, own)
     route = np.where(total > 1, np.where(alone, own, along), np.uint64(0))
     answer = np.zeros(len(codes), np.uint64)
     answer[order] = np.repeat(route, np.diff(np.append(first, len(codes))))
@@ -108,17 +116,43 @@ def merge(codes: np.ndarray, arrays: list[np.ndarray]) -> np.ndarray:
 
 
 merge.kinds = (np.int64, np.uint8, np.uint8)
+def apart(texts: list[bytes], text: np.ndarray, low: np.ndarray, high: np.ndarray, place: np.ndarray, route: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Text, first and last window and route of every segment, where segments of the hottest anchors are taken apart.
+
+    Window starts that lie k STEP to (k + 1) STEP - 1 before the anchor go together; all hold the bytes from the
+    last of these starts to the end of the first's window. Equal windows lie alike around their anchor, so they go together."""
+    hot = (route & (ALONE | APART)) == (ALONE | APART)
+    if not hot.any():
+        return text, low, high, route
+    stay = ~hot
+    t, a, b, p, r = text[hot], low[hot], high[hot], place[hot], route[hot]
+    nearest, farthest = (p - b) // STEP, (p - a) // STEP
+    count = farthest - nearest + 1
+    which = np.repeat(np.arange(len(t)), count)
+    k = np.arange(len(which)) - np.repeat(np.cumsum(count) - count, count) + nearest[which]
+    first, last = np.maximum(a[which], p[which] - (k + 1) * STEP + 1), np.minimum(b[which], p[which] - k * STEP)
+    middle, size = p[which] - k * STEP, WINDOW - STEP + 1
+    told = np.zeros(len(which), np.uint64)
+    for x, (d, m) in enumerate(zip(t[which].tolist(), middle.tolist(), strict=True)):
+        told[x] = xxhash.xxh3_64_intdigest(texts[d][m : m + size])
+    with np.errstate(over="ignore"):
+        mixed = mix64(told ^ mix64(r[which] + k.astype(np.uint64))) >> np.uint64(3) | ALONE | APART
+    out = [np.concatenate(x) for x in ((text[stay], t[which]), (low[stay], first), (high[stay], last), (route[stay], mixed))]
+    order = np.lexsort((out[1], out[0]))
+    return tuple(x[order] for x in out)
+
+
 SEGMENT_SCHEMA = "route long, part long, segment int, bytes binary, least long, most long"
 
 
 def receive(part: int, ids: np.ndarray, texts: list[bytes], buckets: int, answers_for) -> pa.Table:
     """Distinct segments of the part, and one row with route -1 that tells where each occurs."""
-    text, low, high, prints = all_anchors(texts)
+    text, low, high, place, prints = all_anchors(texts)
     codes = codes_of(prints, buckets)
     own, back = np.unique(codes, return_inverse=True)
     route = answers_for(own)[back]
     shared = route != 0
-    text, low, high, route = text[shared], low[shared], high[shared], route[shared]
+    text, low, high, route = apart(texts, text[shared], low[shared], high[shared], place[shared], route[shared])
     joins = np.zeros(len(text), bool)
     joins[1:] = (text[1:] == text[:-1]) & (low[1:] == high[:-1] + 1) & (route[1:] == route[:-1]) & (route[1:] < ALONE)
     first = np.flatnonzero(~joins)
@@ -350,8 +384,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     path = fresh_path(spark, "segments")
     answered(parts, send, merge, receive, SEGMENT_SCHEMA).write.option("compression", "zstd").parquet(path)
     segments = spark.read.schema(SEGMENT_SCHEMA).parquet(path)
-    tasks = max(parts.parts, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    runs = segments.where("route >= 0").repartition(tasks, "route").sortWithinPartitions("route").mapInArrow(sort_segments, RUN_SCHEMA)
+    runs = segments.where("route >= 0").repartition("route").sortWithinPartitions("route").mapInArrow(sort_segments, RUN_SCHEMA)
     places = segments.where("route = -1").select("part", "bytes", *(F.lit(None).cast("binary").alias(c) for c in ("segments", "firsts", "lasts", "ids")))
     known = runs.select("part", F.lit(None).cast("binary").alias("bytes"), "segments", "firsts", "lasts", "ids").unionByName(places)
     kinds = [docs.schema[c].dataType for c in carry]
