@@ -8,6 +8,8 @@ refused, because equal values may have unequal forms."""
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -17,6 +19,12 @@ TERMINATOR = b"\x01"
 MAX_BYTES = 65
 
 
+def encoded_string(raw: bytes, max_bytes: int = MAX_BYTES) -> bytes:
+    """What `encode_key` makes of one string or binary column, for functions that get keys as bytes."""
+    key = raw + TERMINATOR
+    return hashlib.sha256(key).digest() + b"\x02" if len(key) > max_bytes else key
+
+
 def long_bytes(c: Column) -> Column:
     """Eight bytes, most significant first."""
     return F.unhex(F.lpad(F.hex(c.cast("long")), 16, "0"))

@@ -34,15 +34,24 @@ def ragged(keys: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
 
 
 class LinearHash:
-    """h(x) = A x over GF(2), tabulated by bytes: a table row for each byte position and value."""
+    """h(x) = A x over GF(2), tabulated by chunks of `sigma` bits: a table row for each chunk's position and value.
 
-    def __init__(self, seed: int, length: int, words: int = 4):
-        self.seed, self.length, self.words = seed, length, words
+    Wider chunks take fewer lookups and larger tables; the map is the same."""
+
+    def __init__(self, seed: int, length: int, words: int = 4, sigma: int = 8):
+        if sigma not in (4, 8, 16):
+            raise ValueError("chunks have 4, 8 or 16 bits")
+        self.seed, self.length, self.words, self.sigma = seed, length, words, sigma
         columns = (random_words(seed, 8 * length * words, 1) >> np.uint64(32)).astype(np.uint32).reshape(length, 8, words)
-        table = np.zeros((length, 256, words), np.uint32)
-        for bit in range(8):  # bit 0 is the least significant of the byte
+        # bits of a chunk from its least significant; a key's bytes come most significant first
+        chunks = -(-8 * length // sigma)
+        padded = np.zeros((chunks * sigma // 8 or 1, 8, words), np.uint32) if sigma >= 8 else columns
+        padded[:length] = columns
+        bits = padded.reshape(chunks, 2, 8, words)[:, ::-1].reshape(chunks, 16, words) if sigma == 16 else padded if sigma == 8 else padded.reshape(length, 2, 4, words)[:, ::-1].reshape(chunks, 4, words)
+        table = np.zeros((chunks, 1 << sigma, words), np.uint32)
+        for bit in range(sigma):
             half = 1 << bit
-            table[:, half : 2 * half] = table[:, :half] ^ columns[:, bit, None]
+            table[:, half : 2 * half] = table[:, :half] ^ bits[:, bit, None]
         self.columns, self.table = columns, table
 
     @property
@@ -57,9 +66,17 @@ class LinearHash:
         order = np.argsort(-size, kind="stable")
         starts, size = ends[:-1][order], size[order]
         out = np.zeros((len(order), self.words), np.uint32)
-        for position in range(int(size[0]) if len(size) else 0):
+        spare = np.append(data, np.uint8(0))
+        for position in range(0, int(size[0]) if len(size) else 0, max(1, self.sigma // 8)):
             live = int(np.searchsorted(-size, -position, side="left"))
-            out[:live] ^= self.table[position][data[starts[:live] + position]]
+            value = data[starts[:live] + position]
+            if self.sigma == 8:
+                out[:live] ^= self.table[position][value]
+            elif self.sigma == 4:
+                out[:live] ^= self.table[2 * position][value >> 4] ^ self.table[2 * position + 1][value & 15]
+            else:  # a last byte alone has zeros after it
+                low = np.where(position + 1 < size[:live], spare[np.minimum(starts[:live] + position + 1, len(data))], 0)
+                out[:live] ^= self.table[position // 2][value.astype(np.int64) << 8 | low]
         back = np.empty_like(out)
         back[order] = out
         return back

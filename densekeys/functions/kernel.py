@@ -127,16 +127,17 @@ def build(numbers: np.ndarray, sizes: np.ndarray, sums: tuple[Sums, Sums], eps:
 class Functions:
     """Packed functions of many buckets, ready to evaluate: slot (into 2 tau) and id (into the bucket's keys)."""
 
-    def __init__(self, numbers: np.ndarray, sizes: np.ndarray, seeds: np.ndarray, offsets: np.ndarray, labels: np.ndarray, occupied: np.ndarray, eps: float, kappa: int, compressed: bool, slot_offsets: np.ndarray):
-        self.numbers, self.sizes, self.seeds, self.offsets, self.eps, self.kappa, self.compressed = numbers, sizes, seeds, offsets, eps, kappa, compressed
+    def __init__(self, numbers: np.ndarray, sizes: np.ndarray, seeds: np.ndarray, offsets: np.ndarray, labels: np.ndarray, occupied: np.ndarray, eps: float, kappa: int | np.ndarray, compressed: bool, slot_offsets: np.ndarray):
+        self.numbers, self.sizes, self.seeds, self.offsets, self.eps, self.compressed = numbers, sizes, seeds, offsets, eps, compressed
         self.labels, self.occupied, self.slot_offsets = labels, occupied, slot_offsets
         self.tau = side_sizes(sizes, eps)
+        self.kappa = np.broadcast_to(np.asarray(kappa, np.int64), self.tau.shape)
         self.word_base = np.concatenate([[0], np.cumsum(words_for(2 * self.tau))])
         self.label_base = np.concatenate([[0], np.cumsum(words_for(sizes))]) if compressed else self.word_base
         flags = np.unpackbits(occupied.view(np.uint8), bitorder="little").astype(bool)
         span = 2 * self.tau
         at = np.repeat(self.word_base[:-1] * 64, span) + np.arange(span.sum()) - np.repeat(np.cumsum(span) - span, span)
-        self.entries, self.entry_base = directory(flags[at], span, kappa)
+        self.entries, self.entry_base = directory(flags[at], span, self.kappa)
 
     def find(self, bucket: np.ndarray) -> np.ndarray:
         """Row of each bucket number, or -1 for an empty bucket."""
@@ -144,7 +145,7 @@ class Functions:
         return np.where(self.numbers[at] == bucket, at, -1) if len(self.numbers) else np.full(len(bucket), -1)
 
     def ranks(self, row: np.ndarray, slot: np.ndarray, bits: int | str) -> np.ndarray:
-        return rank(self.occupied, self.word_base[row], self.entries, self.entry_base[row], slot, self.kappa, bits)
+        return rank(self.occupied, self.word_base[row], self.entries, self.entry_base[row], slot, self.kappa[row], bits)
 
     def label(self, row: np.ndarray, slot: np.ndarray, bits: int | str) -> np.ndarray:
         """A compressed label is stored for occupied slots only; the others are zero."""

@@ -44,23 +44,29 @@ def below(x: np.ndarray, n: np.ndarray) -> np.ndarray:
     return np.where(full, x, x & mask)
 
 
-def directory(flags: np.ndarray, sizes: np.ndarray, kappa: int) -> tuple[np.ndarray, np.ndarray]:
-    """Set flags of the bucket before every kappa-th place, and where each bucket's entries begin (and the end)."""
+def theory_steps(tau: np.ndarray, eps_rank: float) -> np.ndarray:
+    """The step for which the directory takes about eps_rank tau bits: floor(log2(tau) / eps_rank), at least 1."""
+    return np.maximum(1, np.floor(np.log2(np.maximum(2, tau)) / eps_rank)).astype(np.int64)
+
+
+def directory(flags: np.ndarray, sizes: np.ndarray, kappa: int | np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Set flags of the bucket before every kappa-th place, and where each bucket's entries begin (and the end); kappa may differ by bucket."""
+    kappa = np.broadcast_to(np.asarray(kappa, np.int64), sizes.shape)
     entries = -(-sizes // kappa)
     first = np.concatenate([[0], np.cumsum(sizes)])
     begin = np.concatenate([[0], np.cumsum(entries)])
     total = np.concatenate([[0], np.cumsum(flags)])
     bucket = np.repeat(np.arange(len(sizes)), entries)
-    at = first[bucket] + (np.arange(begin[-1]) - begin[bucket]) * kappa
+    at = first[bucket] + (np.arange(begin[-1]) - begin[bucket]) * kappa[bucket]
     return total[at] - total[first[bucket]], begin
 
 
-def rank(words: np.ndarray, word_base: np.ndarray, entries: np.ndarray, entry_base: np.ndarray, place: np.ndarray, kappa: int, bits: int | str = "native") -> np.ndarray:
-    """Set bits of the bucket before `place`: its directory entry and the bits between."""
+def rank(words: np.ndarray, word_base: np.ndarray, entries: np.ndarray, entry_base: np.ndarray, place: np.ndarray, kappa: int | np.ndarray, bits: int | str = "native") -> np.ndarray:
+    """Set bits of the bucket before `place`: its directory entry and the bits between. kappa: one, or one for each place."""
     near = place // kappa
     out = entries[entry_base + near].astype(np.int64)
     start = near * kappa
-    for k in range(-(-kappa // WORD) + 1):
+    for k in range(-(-int(np.max(kappa, initial=1)) // WORD) + 1):
         word = (start >> 6) + k
         live = np.flatnonzero(word << 6 < place)
         if not len(live):

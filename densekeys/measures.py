@@ -136,3 +136,19 @@ def regression(points: DataFrame, y: str, x: str) -> DataFrame:
 
 def is_permutation(ids: np.ndarray, n: int) -> bool:
     return len(ids) == n and bool((np.sort(ids) == np.arange(n)).all())
+
+
+def artifact_mb(n: int, b: int, eps: float = 0.045) -> float:
+    """MB of a collision-free function of n keys."""
+    return phf_bits_model(n, b, eps) * n / 8 / 2**20
+
+
+def disk_bytes(n: int, key_bytes: float, fingerprint_bytes: int = 16) -> float:
+    """Bytes read and written by a construction that merges once: keys once, fingerprints out and in."""
+    return n * (key_bytes + 2 * fingerprint_bytes)
+
+
+def build_split(fingerprints: Callable[[], object], build: Callable[[], object]) -> dict[str, float]:
+    """Seconds of partitioning (written fingerprints) and of searching, and the share of the first."""
+    first, second = timed(fingerprints, 1)["mean"], timed(build, 1)["mean"]
+    return {"partition": first, "search": second, "share": first / (first + second)}

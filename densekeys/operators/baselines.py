@@ -27,6 +27,58 @@ def hashed(prints: np.ndarray, seed: int, size: int) -> np.ndarray:
     return (splitmix(prints ^ splitmix(np.array([seed], np.uint64))) % np.uint64(max(1, size))).astype(np.int64)
 
 
+class Groups:
+    """Keys by the class that each falls in: number, count and first place in `order` of every class that holds a key."""
+
+    def __init__(self, of: np.ndarray):
+        self.order = np.argsort(of, kind="stable")
+        self.number, self.count = np.unique(of, return_counts=True)
+        self.start = np.cumsum(self.count) - self.count
+
+    def columns(self, column: np.ndarray, at: np.ndarray, size: int) -> np.ndarray:
+        """The columns of the classes at `at`, all of one size, a row for each."""
+        return column[self.order[self.start[at][:, None] + np.arange(size)]]
+
+
+def placed(groups: Groups, column: np.ndarray, taken: np.ndarray, which: np.ndarray, rng: np.random.Generator, rounds: int = 400) -> tuple[np.ndarray, np.ndarray]:
+    """A shift for each class at `which`, larger classes first, that puts its keys on free places, which become taken; and the classes without one.
+
+    Many classes of a size draw at once: each tries to put its first key on free places drawn at random, and of those that
+    want a place the first gets it."""
+    n = len(taken)
+    moves, failed = np.zeros(len(groups.count), np.int64), []
+    claim = np.full(n, -1, np.int64)
+    for size in np.unique(groups.count[which])[::-1].tolist():
+        todo = np.flatnonzero(which & (groups.count == size))
+        columns = groups.columns(column, todo, size)
+        ordered = np.sort(columns, axis=1)
+        distinct = (ordered[:, 1:] != ordered[:, :-1]).all(axis=1)
+        failed.append(todo[~distinct])
+        todo, columns = todo[distinct], columns[distinct]
+        for k in range(rounds):
+            if not len(todo):
+                break
+            if k % 8 == 0:
+                free = np.flatnonzero(~taken)
+            draws = max(1, min(len(free), (1 << 18) // (size * len(todo))))
+            who = np.repeat(np.arange(len(todo)), draws)
+            move = (free[rng.integers(0, len(free), len(who))] - columns[who, 0]) % n
+            places = (columns[who] + move[:, None]) % n
+            fits = ~taken[places].any(axis=1)
+            who, move, places = who[fits], move[fits], places[fits]
+            first = np.flatnonzero(np.diff(who, prepend=-1))
+            who, move, places = who[first], move[first], places[first]
+            claim[places[::-1].reshape(-1)] = np.repeat(np.arange(len(who))[::-1], size)
+            wins = (claim[places] == np.arange(len(who))[:, None]).all(axis=1)
+            moves[todo[who[wins]]] = move[wins]
+            taken[places[wins]] = True
+            stay = np.ones(len(todo), bool)
+            stay[who[wins]] = False
+            todo, columns = todo[stay], columns[stay]
+        failed.append(todo)
+    return moves, np.concatenate(failed) if failed else np.zeros(0, np.int64)
+
+
 @dataclass
 class Displace:
     """value = (column + displacement of the class) mod n; `c` words a key."""
@@ -41,28 +93,17 @@ class Displace:
         classes = max(1, round(c * n))
         for seed in range(TRIES):
             column, of = hashed(prints, 2 * seed, n), hashed(prints, 2 * seed + 1, classes)
-            order = np.argsort(of, kind="stable")
-            used, count = np.unique(of, return_counts=True)
-            starts = np.cumsum(count) - count
-            shifts, taken = np.zeros(classes, np.int64), np.zeros(n, bool)
+            groups = Groups(of)
+            taken = np.zeros(n, bool)
             # larger classes first; the many classes of one key take the places that are left
-            for k in np.argsort(-count, kind="stable")[: int((count > 1).sum())]:
-                columns = column[order[starts[k] : starts[k] + count[k]]]
-                if len(np.unique(columns)) < len(columns):
-                    break
-                free = np.flatnonzero(~taken)
-                for move in (free - columns[0]) % n:
-                    places = (columns + move) % n
-                    if not taken[places].any():
-                        shifts[used[k]], taken[places] = move, True
-                        break
-                else:
-                    break
-            else:
-                single = used[count == 1]
-                columns = column[order[starts[count == 1]]]
-                shifts[single] = (np.flatnonzero(~taken) - columns) % n
-                return cls(n, seed, shifts)
+            moves, failed = placed(groups, column, taken, groups.count > 1, np.random.default_rng(seed))
+            if len(failed):
+                continue
+            shifts = np.zeros(classes, np.int64)
+            shifts[groups.number] = moves
+            single = groups.count == 1
+            shifts[groups.number[single]] = (np.flatnonzero(~taken) - column[groups.order[groups.start[single]]]) % n
+            return cls(n, seed, shifts)
         raise RuntimeError("no displacement found")
 
     def evaluate(self, prints: np.ndarray) -> np.ndarray:
@@ -202,30 +243,33 @@ class BucketSearch:
 
     @classmethod
     def build(cls, prints: np.ndarray, c: float = 4.0) -> BucketSearch:
-        n, rng = len(prints), np.random.default_rng(5)
+        n = len(prints)
         buckets = cls.count(n, c)
         for seed in range(TRIES):
-            of = cls._bucket(prints, seed, buckets)
-            order = np.argsort(of, kind="stable")
-            used, count = np.unique(of, return_counts=True)
-            starts = np.cumsum(count) - count
+            groups = Groups(cls._bucket(prints, seed, buckets))
+            key_group = np.empty(n, np.int64)
+            key_group[groups.order] = np.repeat(np.arange(len(groups.count)), groups.count)
             g, pattern, taken = np.zeros(buckets, np.int64), np.zeros(buckets, np.int64), np.zeros(n, bool)
-            for k in np.argsort(-count, kind="stable"):
-                keys = prints[order[starts[k] : starts[k] + count[k]]]
+            drawn, column = np.zeros(len(groups.count), np.int64), np.empty(n, np.int64)
+            done = True
+            # all buckets of a size are settled, with as many patterns as they need, before smaller ones
+            for size in np.unique(groups.count)[::-1].tolist():
+                which = groups.count == size
                 for bit in range(32):
-                    columns = hashed(keys, 1000 + 64 * seed + bit, n)
-                    if len(np.unique(columns)) < len(columns):
-                        continue
-                    free = np.flatnonzero(~taken)
-                    moves = (rng.permutation(free)[:4096] - columns[0]) % n
-                    fits = ~taken[(columns[None, :] + moves[:, None]) % n].any(axis=1)
-                    if fits.any():
-                        g[used[k]], pattern[used[k]] = moves[fits.argmax()], bit
-                        taken[(columns + g[used[k]]) % n] = True
+                    drawn[which] = bit
+                    keys = which[key_group]
+                    column[keys] = hashed(prints[keys], 1000 + 64 * seed + bit, n)
+                    moves, failed = placed(groups, column, taken, which, np.random.default_rng([seed, size, bit]), 400 if size > 1 else 10_000)
+                    settled = which.copy()
+                    settled[failed] = False
+                    g[groups.number[settled]], pattern[groups.number[settled]] = moves[settled], bit
+                    which = which & ~settled
+                    if not which.any():
                         break
                 else:
+                    done = False
                     break
-            else:
+            if done:
                 return cls(n, seed, g, pattern)
         raise RuntimeError("no assignment found")
 

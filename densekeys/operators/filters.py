@@ -27,6 +27,12 @@ def signature(df: DataFrame, cols: list[str], bits: int):
     return F.xxhash64(encode_key(df, cols), F.lit(91)).bitwiseAND((1 << bits) - 1)
 
 
+def signature_of(name: str, bits: int, max_bytes: int) -> str:
+    """The signature of a string column as SQL text."""
+    key = f"concat(encode({name}, 'UTF-8'), X'01')"
+    return f"CAST(xxhash64(CASE WHEN octet_length({key}) > {max_bytes} THEN concat(unhex(sha2({key}, 256)), X'02') ELSE {key} END, 91) & {(1 << bits) - 1} AS INT)"
+
+
 @dataclass
 class SlotFilter:
     artifact: Artifact

@@ -22,12 +22,12 @@ def components(edges: DataFrame) -> DataFrame:
         labels = labels.select("vertex", "component")
 
 
-def peel(edges: DataFrame, max_rounds: int = 64) -> tuple[DataFrame, list[DataFrame]]:
+def peel(edges: DataFrame) -> tuple[DataFrame, list[DataFrame]]:
     """Edges (key, a, b) left when no vertex has degree one, and the (key, leaf) removed in each round: a forest leaves none.
 
     The DataFrame form of the whole-set construction, for sets beyond one task; every round is a shuffle."""
     rest, rounds = written(edges.select("key", "a", "b"), "graph"), []
-    for _ in range(max_rounds):
+    while True:
         ends = rest.select("key", F.explode(F.array("a", "b")).alias("vertex"))
         leaves = ends.groupBy("vertex").agg(F.count(F.lit(1)).alias("degree"), F.min("key").alias("key")).where("degree = 1")
         # a lone edge has two leaves; its larger vertex is taken, so that its smaller one is the root

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from densekeys.functions import kernel
 from densekeys.functions.kernel import Functions, side_sizes
 from densekeys.plans.bucketing import choose_bits, prefix_sums
-from densekeys.plans.fingerprints import as_words, distinct_fingerprints, fingerprint, word_count
+from densekeys.plans.fingerprints import as_words, distinct_fingerprints, fingerprint, super_bucket, word_count
 from densekeys.plans.params import Params, family
 from densekeys.shared import written
 
@@ -78,7 +78,7 @@ def bucket_bits(size: np.ndarray, tau: np.ndarray, p: Params) -> tuple[np.ndarra
     """Bits of each bucket's function as the collision-free and as the minimal one, headers included."""
     header = 32 + 32 * p.seeds_per_bucket
     labels = size if p.layout == "compressed" else 2 * tau
-    return 2 * tau + header, labels + 2 * tau + 8 * -(-2 * tau // p.kappa) + header
+    return 2 * tau + header, labels + 2 * tau + 8 * -(-2 * tau // p.steps(tau)) + header
 
 
 def build_super(words: np.ndarray, b: int, params: Params, attempt: int, super_bucket: int) -> dict:
@@ -120,28 +120,28 @@ def group_builder(params: Params, attempt: int, b: int):
 
 
 def build_two_level(df: DataFrame, cols: str | list[str], params: Params = Params(), b_method: str = "empirical") -> Artifact:
-    """The scalable construction: fingerprints, one exchange to super-buckets, all buckets of a super-bucket at once.
+    """The scalable construction: distinct fingerprints, super-buckets of them, all buckets of a super-bucket at once.
 
-    Driver state is a handful of counts. Two keys with one fingerprint, or a bucket without a forest, start the
+    The keys are read once for each attempt; all counts are taken from the written fingerprints. Driver state is a handful of counts. Two keys with one fingerprint, or a bucket without a forest, start the
     next attempt, which draws new tables, as the attempt is part of every seed."""
     cols = [cols] if isinstance(cols, str) else list(cols)
-    spark = df.sparkSession
     rows = df.select(*(F.col(f"`{c}`") for c in cols))
-    super_bits = max(0, math.ceil(math.log2(max(1, rows.count()) / params.super_keys)))
-    partitions = max(int(spark.conf.get("spark.sql.shuffle.partitions")), (1 << super_bits) // 8) if super_bits else 1
     for attempt in range(params.max_restarts + 1):
-        prints = written(distinct_fingerprints(fingerprint(rows, cols, params, attempt, super_bits), partitions), "fingerprints")
+        prints = written(distinct_fingerprints(fingerprint(rows, cols, params, attempt)), "fingerprints")
         totals = prints.agg(F.count(F.lit(1)).alias("n"), F.count_if("collided").alias("collided")).first()
         if totals["collided"]:
             continue
         n = totals["n"]
+        super_bits = max(0, math.ceil(math.log2(max(1, n) / params.super_keys)))
         b = choose_bits(prints, n, params.ell, b_method, super_bits) if n > params.ell or super_bits else 0
-        built = written(prints.select("super", "hi", "lo").groupBy("super").applyInArrow(group_builder(params, attempt, b), BUILT), "buckets")
+        dealt = prints.select(super_bucket(super_bits).alias("super"), "hi", "lo")
+        built = written(dealt.groupBy("super").applyInArrow(group_builder(params, attempt, b), BUILT), "buckets")
         slots = built.agg(F.sum("n_slots").alias("slots"), F.min("n").alias("least")).first()
         if (slots["least"] or 0) < 0:
             continue
         placed = prefix_sums(prefix_sums(built, "super", "n", "base"), "super", "n_slots", "slot_base")
-        rows_out = placed.select(*[x.split()[0] for x in ARTIFACT.split(", ")])
+        # lookups read what is written, not the two prefix sums again
+        rows_out = written(placed.select(*[x.split()[0] for x in ARTIFACT.split(", ")]), "artifact")
         return Artifact(rows_out, params, n, slots["slots"] or 0, b, super_bits, attempt, attempt, cols)
     raise RuntimeError(f"no function found in {params.max_restarts + 1} attempts")
 
@@ -166,4 +166,4 @@ def functions_of(rows: list[dict], params: Params) -> Functions:
         offsets.append(r["base"] + np.cumsum(size) - size)
         slots.append(r["slot_base"] + np.cumsum(span) - span)
     none = [np.zeros(0, np.int64)]
-    return Functions(numbers, sizes, seeds, np.concatenate(offsets or none), labels, occupied, params.eps, params.kappa, params.layout == "compressed", np.concatenate(slots or none))
+    return Functions(numbers, sizes, seeds, np.concatenate(offsets or none), labels, occupied, params.eps, params.steps(side_sizes(sizes, params.eps)), params.layout == "compressed", np.concatenate(slots or none))

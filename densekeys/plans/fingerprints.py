@@ -1,4 +1,4 @@
-"""From key columns to distinct fingerprints, dealt to super-buckets by one exchange."""
+"""From key columns to distinct fingerprints. Repeated keys are reduced before anything is exchanged."""
 
 from __future__ import annotations
 
@@ -11,7 +11,7 @@ from densekeys.functions.encode import encode_key
 from densekeys.functions.hashing import ragged
 from densekeys.plans.params import Params, family
 
-SCHEMA = "super long, hi long, lo long, check_word long"
+SCHEMA = "hi long, lo long, check_word long"
 
 
 def words_of(keys: pa.Array, params: Params, attempt: int) -> np.ndarray:
@@ -45,31 +45,29 @@ def native_words(key: Column, params: Params, attempt: int) -> tuple[Column, Col
     return tuple(F.xxhash64(key, F.lit(params.master_seed * 1000 + 2 * attempt + k)) for k in range(2))
 
 
-def fingerprint(df: DataFrame, cols: list[str], params: Params, attempt: int, super_bits: int) -> DataFrame:
-    """A row for each non-null key: super-bucket, 128-bit fingerprint, and a check word that tells a repeated key from a collision."""
+def fingerprint(df: DataFrame, cols: list[str], params: Params, attempt: int) -> DataFrame:
+    """A row for each non-null key: 128-bit fingerprint, and a check word that tells a repeated key from a collision."""
     keys = df.select(encode_key(df, cols, params.max_bytes).alias("key")).where("key is not null")
-    top = F.shiftrightunsigned("hi", 64 - super_bits) if super_bits else F.lit(0).cast("long")
     if params.native:
         hi, lo = native_words(F.col("key"), params, attempt)
-        return keys.select(hi.alias("hi"), lo.alias("lo"), F.xxhash64("key", F.lit(71)).alias("check_word")).select(top.alias("super"), "hi", "lo", "check_word")
+        return keys.select(hi.alias("hi"), lo.alias("lo"), F.xxhash64("key", F.lit(71)).alias("check_word"))
 
     def run(batches):
         for batch in batches:
             hi, lo = as_longs(words_of(batch.column(0), params, attempt))
             # repeated keys of the batch go before anything is shuffled
             rows = np.unique(np.stack([hi, lo, batch.column(1).to_numpy()], axis=1), axis=0) if len(hi) else np.zeros((0, 3), np.int64)
-            part = np.ascontiguousarray(rows[:, 0]).view(np.uint64)
-            part = (part >> np.uint64(64 - super_bits)).astype(np.int64) if super_bits else np.zeros(len(rows), np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(part), *(pa.array(np.ascontiguousarray(rows[:, k])) for k in range(3))], ["super", "hi", "lo", "check_word"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(rows[:, k])) for k in range(3)], ["hi", "lo", "check_word"])
 
     return keys.select("key", F.xxhash64("key", F.lit(71)).alias("check_word")).mapInArrow(run, SCHEMA)
 
 
-def distinct_fingerprints(prints: DataFrame, partitions: int) -> DataFrame:
-    """One row for each fingerprint; `collided` where two different keys share it. The exchange by super-bucket is the only one."""
-    return (
-        prints.repartition(partitions, "super")
-        .groupBy("super", "hi", "lo")
-        .agg(F.min("check_word").alias("low"), F.max("check_word").alias("high"))
-        .select("super", "hi", "lo", (F.col("low") != F.col("high")).alias("collided"))
-    )
+def distinct_fingerprints(prints: DataFrame) -> DataFrame:
+    """One row for each fingerprint; `collided` where two different keys share it. A hot key leaves each task as one row."""
+    found = prints.groupBy("hi", "lo").agg(F.min("check_word").alias("low"), F.max("check_word").alias("high"))
+    return found.select("hi", "lo", (F.col("low") != F.col("high")).alias("collided"))
+
+
+def super_bucket(super_bits: int) -> Column:
+    """The top bits of a fingerprint."""
+    return F.shiftrightunsigned("hi", 64 - super_bits) if super_bits else F.lit(0).cast("long")

@@ -79,15 +79,15 @@ def adjacency(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def association_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lines = table(spark, sf_dir, "lineitem").select("l_orderkey", (F.col("l_partkey") % 50).alias("item"))
-    return apps.pair_support(lines, "l_orderkey", "item", 30)
+    """Pairs of parts that at least two orders hold together."""
+    return apps.pair_support(table(spark, sf_dir, "lineitem"), "l_orderkey", "l_partkey", 2)
 
 
 def core_df_bijective(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The whole-set construction by distributed peeling: distinct slots for all keys, from the first seed whose graph is a forest."""
-    keys = table(spark, sf_dir, "customer").where("c_custkey < 300").select(F.col("c_custkey").alias("key")).dropDuplicates()
+    keys = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("key")).dropDuplicates()
     n = keys.count()
-    tau = -(-2 * n // 1)
+    tau = -(-1045 * n // 1000)
     for seed in range(40):
         edges = keys.select("key", F.pmod(F.xxhash64("key", F.lit(2 * seed)), F.lit(tau)).alias("a"), (F.pmod(F.xxhash64("key", F.lit(2 * seed + 1)), F.lit(tau)) + tau).alias("b"))
         slots = graphs.core_slots(edges, tau)
@@ -135,7 +135,7 @@ deg AS (SELECT source, count(*) AS degree FROM e GROUP BY source), r0 AS (SELECT
 {_rank_steps}
 SELECT url, round(rank, 9) AS rank FROM r3""",
     "app_adjacency_gaps": f"SELECT source AS url, count(DISTINCT target)::BIGINT AS degree, true AS gaps_positive FROM {_LINKS} GROUP BY source",
-    "app_association_pairs": """WITH i AS (SELECT DISTINCT l_orderkey, l_partkey % 50 AS item FROM lineitem)
-SELECT a.item AS first, b.item AS second, count(*)::BIGINT AS support FROM i a JOIN i b ON a.l_orderkey = b.l_orderkey AND a.item < b.item GROUP BY 1, 2 HAVING count(*) >= 30""",
-    "core_df_bijective": "SELECT count(DISTINCT c_custkey)::BIGINT AS n, count(DISTINCT c_custkey)::BIGINT AS n_slots FROM customer WHERE c_custkey < 300",
+    "app_association_pairs": """WITH i AS (SELECT DISTINCT l_orderkey, l_partkey AS item FROM lineitem)
+SELECT a.item AS first, b.item AS second, count(*)::BIGINT AS support FROM i a JOIN i b ON a.l_orderkey = b.l_orderkey AND a.item < b.item GROUP BY 1, 2 HAVING count(*) >= 2""",
+    "core_df_bijective": "SELECT count(DISTINCT c_custkey)::BIGINT AS n, count(DISTINCT c_custkey)::BIGINT AS n_slots FROM customer",
 }

@@ -173,9 +173,11 @@ def sql_words(inner: str = "o_orderkey") -> str:
 
 
 def core_demo_components(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Smallest order numbers as edges by a linear congruence; components by label propagation."""
-    edges = table(spark, sf_dir, "orders").where("o_orderkey < 400").select("o_orderkey").dropDuplicates()
-    edges = edges.select((F.col("o_orderkey") * 7919 % 10007 % 30).alias("a"), (F.col("o_orderkey") * 104729 % 10009 % 30 + 30).alias("b")).where("a % 3 = 0 or b % 5 = 0").distinct()
+    """All order numbers as edges by two congruences, in the bipartite graph that the construction draws; components by label propagation."""
+    keys = table(spark, sf_dir, "orders").select("o_orderkey").dropDuplicates()
+    tau = -(-keys.count() * 1045 // 1000)
+    k = F.col("o_orderkey")
+    edges = keys.select((k * k % 1000003 * 7919 % 2147483647 % tau).alias("a"), (k * k % 1000033 * 104729 % 2147483647 % tau + tau).alias("b")).distinct()
     from densekeys.operators.graphs import components
 
     labels = components(edges)
@@ -186,14 +188,14 @@ def core_demo_components(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def rank_directory_demo(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Members below every 128th place, from bitmaps of the occupied places."""
-    keys = table(spark, sf_dir, "orders").where("o_orderkey < 20000").select(F.col("o_orderkey").alias("k")).dropDuplicates()
+    keys = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("k")).dropDuplicates()
     counts = keys.groupBy(F.floor(F.col("k") / 128).alias("entry")).agg(F.count(F.lit(1)).alias("held"))
     return prefix_sums(counts, "entry", "held", "below", block=32).select("entry", F.col("below").cast("long"))
 
 
 def popcount_words(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Occupied places in each 32-bit word of the customer bitmap, by bit_or and bit_count."""
-    bit = F.shiftleft(F.lit(1).cast("long"), (F.col("c_custkey") % 32).cast("int"))
+    bit = F.expr("shiftleft(1L, CAST(c_custkey % 32 AS INT))")
     return table(spark, sf_dir, "customer").groupBy(F.floor(F.col("c_custkey") / 32).alias("word")).agg(F.bit_count(F.bit_or(bit)).cast("long").alias("held"))
 
 
@@ -362,8 +364,9 @@ ORACLES |= {
     "bucket_stats": " UNION ALL ".join(f"SELECT {b}::INTEGER AS b, max(c)::BIGINT AS largest FROM (SELECT count(*) AS c FROM {sql_words()} GROUP BY w >> {32 - b})" for b in LEVELS),
     "choose_b_orders": "SELECT min(b)::INTEGER AS b FROM (" + " UNION ALL ".join(f"SELECT {b} AS b, max(c) AS largest FROM (SELECT count(*) AS c FROM {sql_words()} GROUP BY w >> {32 - b})" for b in LEVELS) + ") WHERE largest <= 256",
     "core_demo_components": """
-WITH RECURSIVE keys AS (SELECT DISTINCT o_orderkey AS k FROM orders WHERE o_orderkey < 400),
-e AS (SELECT DISTINCT a, b FROM (SELECT k * 7919 % 10007 % 30 AS a, k * 104729 % 10009 % 30 + 30 AS b FROM keys) WHERE a % 3 = 0 OR b % 5 = 0),
+WITH RECURSIVE keys AS (SELECT DISTINCT o_orderkey AS k FROM orders),
+size AS (SELECT (count(*) * 1045 + 999) // 1000 AS tau FROM keys),
+e AS (SELECT DISTINCT k * k % 1000003 * 7919 % 2147483647 % tau AS a, k * k % 1000033 * 104729 % 2147483647 % tau + tau AS b FROM keys, size),
 v AS (SELECT a AS v FROM e UNION SELECT b FROM e),
 both_ways AS (SELECT a, b FROM e UNION SELECT b, a FROM e),
 reach(v, r) AS (SELECT v, v FROM v UNION SELECT reach.v, b FROM reach JOIN both_ways ON reach.r = a),
@@ -371,7 +374,7 @@ low AS (SELECT v, min(r) AS c FROM reach GROUP BY v)
 SELECT count(*)::BIGINT AS vertices, count(DISTINCT c)::BIGINT AS components, (SELECT count(*) FROM e)::BIGINT AS edges, count(*) - count(DISTINCT c) = (SELECT count(*) FROM e) AS forest FROM low""",
     "rank_directory_demo": """
 SELECT entry, coalesce(sum(held) OVER (ORDER BY entry ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS below
-FROM (SELECT o_orderkey // 128 AS entry, count(*) AS held FROM (SELECT DISTINCT o_orderkey FROM orders WHERE o_orderkey < 20000) GROUP BY 1)""",
+FROM (SELECT o_orderkey // 128 AS entry, count(*) AS held FROM (SELECT DISTINCT o_orderkey FROM orders) GROUP BY 1)""",
     "popcount_words": "SELECT c_custkey // 32 AS word, count(DISTINCT c_custkey)::BIGINT AS held FROM customer GROUP BY 1",
     "space_two_level": f"""
 SELECT sum(size)::BIGINT AS n, sum(2 * tau + 64)::BIGINT AS bits_phf, sum(size + 2 * tau + 8 * ((2 * tau + 127) // 128) + 64)::BIGINT AS bits_mphf

@@ -7,9 +7,9 @@ from pyspark.sql import DataFrame, SparkSession
 from densekeys.plans.build import build_two_level
 from densekeys.plans.evaluate import lookup
 from densekeys.plans.params import Params
-from densekeys.workloads import apps, methods, relational, streams, tables
+from densekeys.workloads import apps, methods, relational, streams, tables, variants
 
-PARTS = (methods, tables, apps, relational, streams)
+PARTS = (methods, tables, apps, relational, streams, variants)
 QUERIES = {name: query for part in PARTS for name, query in part.QUERIES.items()}
 ORACLES = {name: sql for part in PARTS for name, sql in part.ORACLES.items()}
 

@@ -77,7 +77,7 @@ SQL: dict[str, str] = {
     "op_topk_per_group": "SELECT o_custkey, o_orderkey FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM {orders}) t WHERE k <= 2",
     "op_limit_offset": "SELECT c_custkey FROM {customer} ORDER BY c_custkey LIMIT 10 OFFSET 5",
     "op_sort_multi": "SELECT s_suppkey, s_nationkey FROM {supplier} ORDER BY s_nationkey DESC, s_suppkey",
-    "op_sort_nulls": "SELECT c_custkey, nullif(c_nationkey, 5) AS k FROM {customer} ORDER BY k DESC NULLS LAST, c_custkey LIMIT 50",
+    "op_sort_nulls": "SELECT c_custkey, nullif(c_nationkey, 5) AS k FROM {customer} ORDER BY k DESC NULLS LAST, c_custkey",
     "op_union_all": "SELECT c_nationkey AS k FROM {customer} UNION ALL SELECT s_nationkey FROM {supplier}",
     "op_union": "SELECT c_nationkey AS k FROM {customer} UNION SELECT s_nationkey FROM {supplier}",
     "op_intersect": "SELECT l_suppkey AS k FROM {lineitem} INTERSECT SELECT s_suppkey FROM {supplier}",
@@ -157,7 +157,7 @@ def op_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op_unpivot(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return table(spark, sf_dir, "lineitem").where("l_orderkey < 200").unpivot(["l_orderkey", "l_linenumber", "l_partkey"], ["l_tax", "l_discount"], "kind", "rate")
+    return table(spark, sf_dir, "lineitem").unpivot(["l_orderkey", "l_linenumber", "l_partkey"], ["l_tax", "l_discount"], "kind", "rate")
 
 
 def op_lateral_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -224,7 +224,7 @@ ORACLES |= {
     "op_agg_collect": "SELECT n_regionkey, string_agg(DISTINCT n_name, ',' ORDER BY n_name) AS names, count(DISTINCT n_name) AS n FROM nation GROUP BY 1",
     "op_agg_approx_distinct": "SELECT true AS near",
     "op_pivot": "SELECT o_orderpriority, count(*) FILTER (WHERE o_orderstatus = 'F') AS \"F\", count(*) FILTER (WHERE o_orderstatus = 'O') AS \"O\", count(*) FILTER (WHERE o_orderstatus = 'P') AS \"P\" FROM orders GROUP BY 1",
-    "op_unpivot": "SELECT l_orderkey, l_linenumber, l_partkey, 'l_tax' AS kind, l_tax AS rate FROM lineitem WHERE l_orderkey < 200 UNION ALL SELECT l_orderkey, l_linenumber, l_partkey, 'l_discount', l_discount FROM lineitem WHERE l_orderkey < 200",
+    "op_unpivot": "SELECT l_orderkey, l_linenumber, l_partkey, 'l_tax' AS kind, l_tax AS rate FROM lineitem UNION ALL SELECT l_orderkey, l_linenumber, l_partkey, 'l_discount', l_discount FROM lineitem",
     "op_lateral_topk": "SELECT o_custkey AS c_custkey, o_orderkey FROM (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer)) WHERE k <= 2",
     "op_fn_bits": "SELECT o_orderkey, o_orderkey & 255 AS a, o_orderkey | 256 AS o, xor(o_orderkey, 37) AS x, o_orderkey << 3 AS l, o_orderkey >> 2 AS r, bit_count(o_orderkey)::INTEGER AS c FROM orders",
     "op_fn_json": "SELECT event_id, json_extract(props, '$.k')::INTEGER AS k FROM events",

@@ -36,7 +36,7 @@ def canonical(df: pd.DataFrame) -> list[tuple]:
     df = df[sorted(df.columns)].astype(object)
 
     def plain(x):
-        if x is None or isinstance(x, float) and math.isnan(x):
+        if x is None or x is pd.NA or isinstance(x, float) and math.isnan(x):
             return None
         return round(float(x), 6) if isinstance(x, (int, float)) and not isinstance(x, bool) else str(x)
 
@@ -87,16 +87,34 @@ def test_encoding_is_injective(spark):
         encode_key(spark.createDataFrame([({"a": 1},)], "m map<string,int>"), ["m"])
 
 
-def test_the_build_shuffles_fingerprints_once_and_reads_only_keys(spark, small):
+@pytest.mark.parametrize("hash", ["linear", "mix96", "xx128"])
+def test_repeated_keys_are_reduced_before_the_exchange(spark, small, hash):
+    """One exchange, a partial aggregate below it, and only the key column read."""
     from densekeys.plans.fingerprints import distinct_fingerprints, fingerprint
 
     df = spark.read.parquet(f"{small}/orders.parquet")
-    plan = distinct_fingerprints(fingerprint(df, ["o_orderkey"], Params(), 0, 3), 4)._jdf.queryExecution().toString()
+    plan = distinct_fingerprints(fingerprint(df, ["o_orderkey"], Params(hash=hash), 0))._jdf.queryExecution().toString()
     physical = plan[plan.index("== Physical Plan ==") :]
     assert physical.count("Exchange ") == 1
+    exchange = physical.index("Exchange ")
+    assert "partial_min" in physical[exchange:] and "partial_min" not in physical[:exchange]
     assert re.search(r"ReadSchema: struct<o_orderkey:bigint>", physical)
 
 
+def test_the_build_reads_its_keys_once(spark):
+    from pyspark.sql.functions import udf
+
+    rows = spark.sparkContext.accumulator(0)
+
+    @udf("long")
+    def told(x):
+        rows.add(1)
+        return x
+
+    df = spark.range(500, numPartitions=3).select(told("id").alias("k"))
+    assert build_two_level(df, "k", Params(hash="xx128", super_keys=64)).n == 500 and rows.value == 500
+
+
 def test_same_artifact_for_other_partitionings(spark):
     a, b = (build_two_level(spark.range(3000).repartition(p).withColumnRenamed("id", "k"), "k", Params(super_keys=500)).rows.orderBy("super").collect() for p in (1, 7))
     assert a == b

@@ -10,7 +10,7 @@ from hypothesis import strategies as st
 from densekeys import measures
 from densekeys.functions import kernel
 from densekeys.functions.hashing import PRIME, ChunkTables, LinearHash, MixedValues, MixingHash, Sums, ragged
-from densekeys.functions.rank import below, directory, packed, popcount, rank
+from densekeys.functions.rank import below, directory, packed, popcount, rank, theory_steps
 from densekeys.operators.baselines import METHODS
 from densekeys.functions.hashing import splitmix
 
@@ -119,3 +119,28 @@ def test_more_room_means_fewer_tries():
     sizes = np.full(100, 128)
     tries = [kernel.build(np.arange(100), sizes, MixedValues().sums(words), eps, 1).tries.mean() for eps in (0.01, 0.25, 1.0)]
     assert tries[0] > tries[1] > tries[2] and 1.7 < tries[0] < 3.5
+
+
+@given(st.lists(st.binary(max_size=9), min_size=1, max_size=30))
+@settings(max_examples=40, deadline=None)
+def test_chunk_width_changes_tables_only(keys):
+    by_byte = LinearHash(5, 9)(*ragged(keys))
+    for sigma in (4, 16):
+        assert (LinearHash(5, 9, sigma=sigma)(*ragged(keys)) == by_byte).all()
+
+
+@given(st.lists(st.integers(1, 300), min_size=1, max_size=9), st.sampled_from([0.05, 0.5, 3.0]))
+@settings(max_examples=30, deadline=None)
+def test_steps_of_the_directory_may_differ_by_bucket(sizes, eps_rank):
+    sizes = np.array(sizes)
+    rng = np.random.default_rng(int(sizes.sum()))
+    flags = rng.random(sizes.sum()) < 0.5
+    kappa = theory_steps(sizes, eps_rank)
+    entries, base = directory(flags, sizes, kappa)
+    assert len(entries) == (-(-sizes // kappa)).sum()
+    words = np.concatenate([[0], np.cumsum(-(-sizes // 64))])
+    bucket = np.repeat(np.arange(len(sizes)), sizes)
+    place = np.arange(len(bucket)) - (np.cumsum(sizes) - sizes)[bucket]
+    got = rank(packed(flags, sizes), words[bucket], entries, base[bucket], place, kappa[bucket])
+    want = np.concatenate([np.cumsum(f) - f for f in np.split(flags.astype(int), np.cumsum(sizes)[:-1])])
+    assert (got == want).all()
