@@ -28,7 +28,7 @@ import uuid
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from densekeys.llm.common import Cuts, deleted, fresh_path, mix64, seeded_words
@@ -220,19 +220,31 @@ def searched(rows: DataFrame) -> DataFrame:
     return rows.select(*BLOCK_ROW).repartition("block", "task").sortWithinPartitions("block", "task").mapInArrow(block_pairs, "a long, b long").distinct()
 
 
-def split_of(n, block_nodes: int):
-    """Tasks of a block of n points."""
-    return F.ceil(F.sqrt(n / block_nodes)).cast("int")
+def hot_splits(rows: DataFrame, keys: list[str], block_nodes: int, cuts: Cuts, queries: bool) -> DataFrame:
+    """Tasks of each block of more than `block_nodes` points; a block that isn't named here is one task.
+
+    One query costs a row in each task, so a block of one is dealt out evenly; where queries are as many as points, copies of
+    queries and sizes of trees grow alike."""
+    parts = F.count(F.lit(1)) / block_nodes
+    split = F.ceil(F.sqrt(parts) if queries else parts).cast("int").alias("split")
+    return cuts.write(rows.groupBy(*keys).agg(split).where("split > 1"), "hot-blocks")
+
+
+def one_task(split) -> Column:
+    """The task of a point among as many as its block has."""
+    return F.when(split.isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("doc_id"), split).cast("int"))
+
+
+def all_tasks(split) -> Column:
+    return F.explode(F.sequence(F.lit(0), F.coalesce(split, F.lit(1)) - 1))
 
 
 def star_rows(stars: DataFrame, nodes: DataFrame, block_nodes: int, cuts: Cuts) -> DataFrame:
     """A block for each first node: the nodes that chose it are points, it is the query."""
-    size = cuts.write(stars.groupBy("first").agg(split_of(F.count(F.lit(1)), block_nodes).alias("split")), "star-sizes")
-    point = stars.join(size, "first").join(nodes.select("doc_id", "n_shingles", "counts"), "doc_id")
-    point = point.select(F.col("first").alias("block"), F.pmod(F.xxhash64("doc_id"), "split").cast("int").alias("task"), "doc_id", "n_shingles", F.col("doc_id").alias("component"), "counts", F.lit(POINT).alias("role"))
-    query = size.join(nodes.select(F.col("doc_id").alias("first"), "n_shingles", "counts"), "first")
-    query = query.select(F.col("first").alias("block"), F.explode(F.sequence(F.lit(0), F.col("split") - 1)).alias("task"), F.col("first").alias("doc_id"), "n_shingles", F.col("first").alias("component"), "counts", F.lit(QUERY).alias("role"))
-    return point.unionByName(query)
+    hot = hot_splits(stars, ["first"], block_nodes, cuts, queries=False)
+    points = stars.join(hot, "first", "left").select(F.col("first").alias("block"), one_task(F.col("split")).alias("task"), "doc_id", F.lit(POINT).alias("role"))
+    queries = stars.select("first").distinct().join(hot, "first", "left").select(F.col("first").alias("block"), all_tasks(F.col("split")).alias("task"), F.col("first").alias("doc_id"), F.lit(QUERY).alias("role"))
+    return points.unionByName(queries).join(nodes.select("doc_id", "n_shingles", "counts"), "doc_id").withColumn("component", F.col("doc_id"))
 
 
 def mixed_rows(held: DataFrame, nodes: DataFrame, block_nodes: int, cuts: Cuts) -> DataFrame:
@@ -242,18 +254,18 @@ def mixed_rows(held: DataFrame, nodes: DataFrame, block_nodes: int, cuts: Cuts)
     by_label = held.groupBy("shingle", "component").agg(F.count(F.lit(1)).alias("n"))
     mixed = cuts.write(by_label.groupBy("shingle").agg(F.count(F.lit(1)).alias("labels"), F.max_by("component", F.struct("n", "component")).alias("major")).where("labels > 1").select("shingle", "major"), "mixed-blocks")
     scale = F.log(F.col("n_shingles").cast("double")) / math.log(4 / 3)
-    at = held.join(mixed, "shingle").withColumn("class", F.floor(scale).cast("int"))
-    split = cuts.write(at.groupBy("shingle", "class").agg(split_of(F.count(F.lit(1)), block_nodes).alias("split")), "block-sizes")
-    point = at.join(split, ["shingle", "class"]).select("shingle", "class", F.pmod(F.xxhash64("doc_id"), "split").cast("int").alias("task"), "doc_id", "component", F.lit(POINT).alias("role"))
+    at = cuts.write(held.join(mixed, "shingle").withColumn("class", F.floor(scale).cast("int")), "mixed-nodes")
+    hot = hot_splits(at, ["shingle", "class"], block_nodes, cuts, queries=True)
+    block = F.xxhash64("shingle", "class").alias("block")
+    points = at.join(hot, ["shingle", "class"], "left").select(block, one_task(F.col("split")).alias("task"), "doc_id", "component", F.lit(POINT).alias("role"))
     near = F.explode(F.sequence(F.floor(scale - 1 - 1e-9).cast("int"), F.floor(scale + 1 + 1e-9).cast("int")))
-    query = at.where("component <> major").withColumn("class", near).join(split, ["shingle", "class"])
-    query = query.select("shingle", "class", F.explode(F.sequence(F.lit(0), F.col("split") - 1)).alias("task"), "doc_id", "component", F.lit(QUERY).alias("role"))
-    both = point.unionByName(query).groupBy("shingle", "class", "task", "doc_id", "component").agg(F.sum("role").cast("int").alias("role"))
-    return both.join(nodes.select("doc_id", "n_shingles", "counts"), "doc_id").withColumn("block", F.xxhash64("shingle", "class"))
+    queries = at.where("component <> major").withColumn("class", near).join(hot, ["shingle", "class"], "left")
+    queries = queries.select(block, all_tasks(F.col("split")).alias("task"), "doc_id", "component", F.lit(QUERY).alias("role"))
+    return points.unionByName(queries).join(nodes.select("doc_id", "n_shingles", "counts"), "doc_id")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, cuts: Cuts) -> DataFrame:
-    """The pairs whose sets overlap by at least three quarters.
+    """The pairs (distinct ones) whose sets overlap by at least three quarters.
 
     `sets` is bucketed by doc_id, so only pairs travel to it. The set of b goes to its pair; that of a, which may
     be in very many, is copied once for PAIRS_TOGETHER of them."""
@@ -268,12 +280,13 @@ def verified(pairs: DataFrame, sets: DataFrame, cuts: Cuts) -> DataFrame:
         return sets.where("shared is not null").select(F.col("doc_id").alias(name), F.col("n_shingles").alias(f"n{name}"), F.col("shared").alias(f"s{name}"))
 
     copies = F.ceil(F.count(F.lit(1)) / PAIRS_TOGETHER).cast("int")
-    often = cuts.write(pairs.groupBy("a").agg(copies.alias("copies")), "pair-heads")
-    heads = often.join(side("a"), "a").withColumn("copy", F.explode(F.sequence(F.lit(0), F.col("copies") - 1))).drop("copies")
-    told = pairs.join(often, "a").withColumn("copy", F.pmod(F.xxhash64("b"), F.col("copies")).cast("int")).drop("copies")
+    often = cuts.write(pairs.groupBy("a").agg(copies.alias("copies")).where("copies > 1"), "pair-heads")
+    heads = pairs.select("a").distinct().join(often, "a", "left").join(side("a"), "a")
+    heads = heads.withColumn("copy", F.explode(F.sequence(F.lit(0), F.coalesce("copies", F.lit(1)) - 1))).drop("copies")
+    told = pairs.join(often, "a", "left").withColumn("copy", F.when(F.col("copies").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("b"), F.col("copies")).cast("int"))).drop("copies")
     fits = (4 * F.col("nb") >= 3 * F.col("na")) & (4 * F.col("na") >= 3 * F.col("nb"))
     joined = told.join(side("b"), "b").join(heads, ["a", "copy"]).where(fits)
-    return joined.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(check, "a long, b long").distinct()
+    return joined.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(check, "a long, b long")
 
 
 def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_nodes: int = BLOCK_NODES) -> DataFrame:

@@ -42,7 +42,7 @@ FEW = 16
 HOT = 256
 STEP = 8
 LONG_DOCUMENT = 1 << 16
-SORT_BYTES = 1 << 20
+SORT_BYTES = 1 << 19
 ALONE = np.uint64(1 << 62)
 APART = np.uint64(1 << 61)
 SEPARATOR = b"\xff"

@@ -230,7 +230,12 @@ def fit_on(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, modul
     context = docs.sparkSession.sparkContext
 
     def in_tasks(one, which):
-        return context.parallelize(which, len(which)).map(one).collect()
+        def task(k: int):
+            found = one(k)
+            give_back()
+            return found
+
+        return context.parallelize(which, len(which)).map(task).collect()
 
     return fit(*labelled_sample(docs, labels, "toxic", modulus, remainder, per_class, id_col, text_col), each=in_tasks)
 

@@ -9,13 +9,19 @@ from pyspark.sql import functions as F
 from densekeys.llm.common import id_and_text
 
 
+#: Bytes of the longest text that a sample takes.
+LONGEST = 1 << 16
+
+
 def held_out(id_column, modulus: int, remainder: int):
     """Whether crc32 of the id as text leaves `remainder`; a null id is never held out."""
     return F.coalesce(F.crc32(id_column.cast("string").cast("binary")) % modulus == remainder, F.lit(False))
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int, remainder: int, per_class: int, id_col: str = "doc_id", text_col: str = "text") -> tuple[list[bytes], np.ndarray]:
-    """At most `per_class` whole texts of either label among the rows that are not held out, in a pseudo-random order that depends on ids alone."""
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int, remainder: int, per_class: int, id_col: str = "doc_id", text_col: str = "text", longest: int = LONGEST) -> tuple[list[bytes], np.ndarray]:
+    """At most `per_class` whole texts of either label among the rows that are not held out, in a pseudo-random order that depends on ids alone.
+
+    So that the driver's share is bounded, texts beyond `longest` bytes aren't learnt from, and of rows that repeat an id one is."""
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("label")).where(
         F.col("label").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), modulus, remainder)
     )
@@ -25,7 +31,8 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int
     if not ids:
         return [], np.zeros(0, np.int8)
     wanted = docs.sparkSession.createDataFrame(sorted(ids), "doc_id long, label int")
-    rows = id_and_text(docs, id_col, text_col).join(F.broadcast(wanted), "doc_id").select("doc_id", "label", "text").collect()
+    short = id_and_text(docs, id_col, text_col).where(F.coalesce(F.octet_length("text"), F.lit(0)) <= longest)
+    rows = short.join(F.broadcast(wanted), "doc_id").groupBy("doc_id", "label").agg(F.min("text").alias("text")).collect()
     rows.sort(key=lambda r: (mixed(r["doc_id"]), r["label"], r["text"] or ""))
     return [(r["text"] or "").encode("utf-8", "surrogatepass") for r in rows], np.array([r["label"] for r in rows], np.int8)
 

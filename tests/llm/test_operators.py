@@ -108,6 +108,25 @@ def test_kept_text_keeps_whole_characters(spark):
     assert bytes(got[2]["kept"]).decode() == "xy" and got[2]["carried_0"] == "m" and bytes(got[1]["kept"]).decode() == text
 
 
+def test_hot_anchors_are_taken_apart(spark, monkeypatch):
+    """One passage in every document, after and before texts of their own: dealt to many routes, with the result of brute force."""
+    monkeypatch.setattr(suffix_dedup, "HOT", 20)
+    rng = random.Random(5)
+    passage = "".join(rng.choice("abcdefghij klmnop") for _ in range(160))
+    rows = [(k, "".join(rng.choice("qrstuv wxyz") for _ in range(rng.randint(0, 90))) + passage + "".join(rng.choice("qrstuv wxyz") for _ in range(rng.randint(0, 90)))) for k in range(120)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = [tuple(r) for r in suffix_dedup.remove_repeats(docs, with_text=False).collect()]
+    assert sorted(got, key=str) == removed_by_force([(i, t.encode()) for i, t in rows])
+    text, low, high, place, prints = suffix_dedup.all_anchors([t.encode() for _, t in rows])
+    hot = np.full(len(text), suffix_dedup.ALONE | suffix_dedup.APART)
+    t, a, b, route = suffix_dedup.apart([x.encode() for _, x in rows], text, low, high, place, hot)
+    assert (b - a < suffix_dedup.STEP).all() and (b - a + 1).sum() == (high - low + 1).sum()
+    of = {}
+    for d, x, y, r in zip(t.tolist(), a.tolist(), b.tolist(), route.tolist(), strict=True):
+        for p in range(x, y + 1):
+            assert of.setdefault(rows[d][1][p : p + WINDOW], r) == r  # equal windows go together
+
+
 def test_routes_without_and_with_a_repeat(monkeypatch):
     """Blocks of one route each: segments of different texts give no run, equal ones give the later document's."""
     monkeypatch.setattr(suffix_dedup, "SORT_BYTES", 1)
@@ -192,6 +211,35 @@ def test_near_groups_of_odd_rows(odd, none):
     assert ngram_join.near_groups(none).count() == 0
 
 
+def test_trees_hand_every_pair_to_verification(spark, monkeypatch):
+    """With the tree made blind no link is found: pairs come from it in every block, and from nowhere else."""
+    docs = near_rows(spark, 8)
+    seen = []
+    kept = ngram_join.searched
+    monkeypatch.setattr(ngram_join, "searched", lambda rows: seen.append(kept(rows)) or seen[-1])
+    linked = {r["doc_id"]: r["component_id"] for r in ngram_join.near_groups(docs).collect()}
+    assert len(seen) == 2 and any(k != v for k, v in linked.items())
+    monkeypatch.setattr(ngram_join, "searched", lambda rows: kept(rows).where("false"))
+    sets = docs.select("doc_id", F.lower("text").alias("t")).collect()
+    equal = {r["t"]: min(x["doc_id"] for x in sets if x["t"] == r["t"]) for r in sets}
+    blind = {r["doc_id"]: r["component_id"] for r in ngram_join.near_groups(docs).collect()}
+    assert all(v == k or equal[next(x["t"] for x in sets if x["doc_id"] == k)] == v for k, v in blind.items())
+
+
+def test_blocks_find_pairs_by_bound_alone():
+    """Rows of two blocks: pairs of one component, and pairs whose minima can't reach, aren't handed on."""
+    def counts(*held):
+        x = np.zeros(ngram_join.GROUPS, np.uint16)
+        x[list(held)] = 10
+        return x.tobytes()
+
+    rows = [(1, 0, 5, 40, 5, counts(0, 1, 2, 3), 3), (1, 0, 6, 40, 6, counts(0, 1, 2, 3), 1), (1, 0, 7, 40, 7, counts(0, 1, 2, 9), 1), (1, 0, 8, 40, 8, counts(4, 5, 6, 7), 1), (1, 0, 9, 40, 5, counts(0, 1, 2, 3), 1)]
+    rows += [(2, 0, 1, 40, 1, counts(0, 1, 2, 3), 1), (2, 0, 2, 40, 2, counts(0, 1, 2, 3), 1)]
+    batch = pa.RecordBatch.from_pylist([dict(zip(ngram_join.BLOCK_ROW, r, strict=True)) for r in rows])
+    found = [tuple(r.values()) for b in ngram_join.block_pairs(iter([batch])) for r in b.to_pylist()]
+    assert found == [(5, 6)]
+
+
 @given(st.lists(st.lists(st.integers(0, 6), min_size=8, max_size=8), min_size=1, max_size=60))
 @settings(max_examples=40, deadline=None)
 def test_tree_loses_no_pair_within_the_bound(rows):

@@ -77,4 +77,6 @@ def test_rows_are_judged_by_their_own_text(spark, small):
 
 
 def test_run_equals_its_stages(spark, small, stages):
-    assert corpus_pipeline.run(spark, small).select("doc_id", "piece", "ids_crc32").exceptAll(stages[5].select("doc_id", "piece", "ids_crc32")).count() == 0
+    key = lambda d: sorted((r["doc_id"], r["piece"], r["ids_crc32"]) for r in d.select("doc_id", "piece", "ids_crc32").collect())
+    found = key(corpus_pipeline.run(spark, small))
+    assert len(found) > 100 and found == key(stages[5])
