@@ -66,6 +66,14 @@ def word_ids(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return ids, out_bounds
 
 
+def ahead(bounds: np.ndarray, k: int) -> np.ndarray:
+    """For each row of the texts that of the word k places on, and one row more than there are where the text has ended: no window reaches into the next text."""
+    out = np.arange(bounds[-1]) + k
+    for j in range(k):
+        out[bounds[1:] - 1 - j] = bounds[-1]
+    return out
+
+
 def language_table() -> np.ndarray:
     """For each slot, one more than the language whose function word it holds; words of two languages count for neither."""
     table, owners = np.zeros(SLOTS, np.int8), {}
@@ -96,12 +104,14 @@ class ToxicityModel:
         z, lang = np.zeros(len(texts)), np.zeros(len(texts), int)
         for a, b in blocks(texts, 1 << 18):
             ids, bounds = word_ids(texts[a:b])
+            padded = np.concatenate([ids, np.zeros((1, PARTS), np.int32)])
+            later = [padded[ahead(bounds, k)] for k in range(max(WIDTHS))]
             stretch, peaks, t = bounds // STRETCH, [], 0
             for w in WIDTHS:
                 response = np.zeros((len(ids), FILTERS), np.float32)
                 for k in range(w):
                     for part in range(PARTS):
-                        response[: len(ids) - k] += self.tables[t + k][ids[k:, part]]
+                        response += self.tables[t + k][later[k][:, part]]
                 t += w
                 peaks.append(response.reshape(-1, STRETCH, FILTERS).max(axis=1))
             peak = np.maximum(np.concatenate(peaks, axis=1) + self.bias, 0)
@@ -132,13 +142,14 @@ def trained(docs: list[np.ndarray], labels: np.ndarray, train: np.ndarray, epoch
             batch = turn[k : k + 32]
             ids = np.concatenate([docs[i] for i in batch])
             bounds = np.concatenate([[0], np.cumsum([len(docs[i]) for i in batch])])
-            padded = np.concatenate([ids, np.zeros((max(WIDTHS), PARTS), np.int32)])
+            padded = np.concatenate([ids, np.zeros((1, PARTS), np.int32)])
             e = params["e"][padded].sum(axis=1)
+            later = np.stack([ahead(bounds, j) for j in range(max(WIDTHS))], axis=1)
             stretch = bounds // STRETCH
             count = np.diff(stretch)
             peaks, where = [], []
             for w in WIDTHS:
-                windows = np.concatenate([e[j : j + len(ids)] for j in range(w)], axis=1)
+                windows = e[later[:, :w]].reshape(len(ids), w * DIM)
                 response = (windows @ params[f"w{w}"]).reshape(-1, STRETCH, FILTERS)
                 at = response.argmax(axis=1)
                 peaks.append(np.take_along_axis(response, at[:, None], axis=1)[:, 0])
@@ -156,7 +167,7 @@ def trained(docs: list[np.ndarray], labels: np.ndarray, train: np.ndarray, epoch
             for n, w in enumerate(WIDTHS):
                 hit, filt = np.nonzero(back[:, n * FILTERS : (n + 1) * FILTERS])
                 d = back[hit, n * FILTERS + filt]
-                rows = where[n][hit, filt][:, None] + np.arange(w)
+                rows = later[where[n][hit, filt], :w]
                 window = e[rows].reshape(len(d), w * DIM)
                 grads[f"w{w}"] = np.stack([(window[filt == f] * d[filt == f, None]).sum(axis=0) for f in range(FILTERS)], axis=1) + 1e-4 * params[f"w{w}"]
                 slots.append(padded[rows].reshape(-1))
