@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from densekeys.llm import exact_dedup, ngram_join, packing, suffix_dedup, toxicity
-from densekeys.llm.common import written
+from densekeys.llm.common import Cuts, written
 
 VOCABULARY = "word_bpe_49k.json"
 #: No SQL can express the classifier; tests/llm checks the stages against brute force.
@@ -87,9 +87,10 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs, cuts = spark.read.parquet(f"{sf_dir}/documents.parquet"), Cuts(spark)
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k < len(STAGES) - 1:
-            docs = written(docs, name)
+            docs = cuts.write(docs, name)
+            cuts.drop(docs)  # what the stage read isn't read again
     return docs

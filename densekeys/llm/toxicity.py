@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -96,12 +97,29 @@ def guessed_languages(ids: np.ndarray, bounds: np.ndarray, table: np.ndarray) ->
 
 
 class ToxicityModel:
-    def __init__(self, tables: list[np.ndarray], bias: np.ndarray, out: np.ndarray, offset: float, thresholds: np.ndarray):
-        self.tables, self.bias, self.out, self.offset, self.thresholds = tables, bias, out, offset, thresholds
-        self.languages = language_table()
+    """The embeddings and filters travel; their products, which are as many times larger as there are filter positions, are made where texts are scored."""
+
+    def __init__(self, embeddings: np.ndarray, filters: list[np.ndarray], bias: np.ndarray, out: np.ndarray, offset: float, thresholds: np.ndarray):
+        self.embeddings, self.filters, self.bias, self.out, self.offset, self.thresholds = embeddings, filters, bias, out, offset, thresholds
+        self._made: tuple[list[np.ndarray], np.ndarray] | None = None
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"_made": None}
+
+    def _tables(self) -> tuple[list[np.ndarray], np.ndarray]:
+        if self._made is None:
+            tables = [np.ascontiguousarray(self.embeddings @ f[j * DIM : (j + 1) * DIM]) for f in self.filters for j in range(len(f) // DIM)]
+            self._made = tables, language_table()
+        return self._made
+
+    @property
+    def tables(self) -> list[np.ndarray]:
+        """What a word's slot adds to the responses at each position of each filter."""
+        return self._tables()[0]
 
     def logits(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         z, lang = np.zeros(len(texts)), np.zeros(len(texts), int)
+        tables, languages = self._tables()
         for a, b in blocks(texts, 1 << 18):
             ids, bounds = word_ids(texts[a:b])
             padded = np.concatenate([ids, np.zeros((1, PARTS), np.int32)])
@@ -111,13 +129,13 @@ class ToxicityModel:
                 response = np.zeros((len(ids), FILTERS), np.float32)
                 for k in range(w):
                     for part in range(PARTS):
-                        response += self.tables[t + k][later[k][:, part]]
+                        response += tables[t + k][later[k][:, part]]
                 t += w
                 peaks.append(response.reshape(-1, STRETCH, FILTERS).max(axis=1))
             peak = np.maximum(np.concatenate(peaks, axis=1) + self.bias, 0)
             seen = np.concatenate([np.maximum.reduceat(peak, stretch[:-1], axis=0), np.add.reduceat(peak, stretch[:-1], axis=0) / np.diff(stretch)[:, None]], axis=1)
             z[a:b] = seen @ self.out + self.offset
-            lang[a:b] = guessed_languages(ids, bounds, self.languages)
+            lang[a:b] = guessed_languages(ids, bounds, languages)
         return z, lang
 
     def score(self, texts: list[bytes]) -> np.ndarray:
@@ -181,8 +199,7 @@ def trained(docs: list[np.ndarray], labels: np.ndarray, train: np.ndarray, epoch
             squares[slot] += (move**2).mean(axis=1)
             params["e"][slot] -= 0.1 * move / np.sqrt(squares[slot])[:, None]
             params["e"][0] = 0
-    tables = [np.ascontiguousarray(params["e"] @ params[f"w{w}"][j * DIM : (j + 1) * DIM]) for w in WIDTHS for j in range(w)]
-    return ToxicityModel(tables, params["bias"], params["out"], float(params["offset"][0]), np.zeros(len(LANGUAGES) + 1))
+    return ToxicityModel(params["e"], [params[f"w{w}"] for w in WIDTHS], params["bias"], params["out"], float(params["offset"][0]), np.zeros(len(LANGUAGES) + 1))
 
 
 def folds_of(labels: np.ndarray, folds: int = FOLDS) -> np.ndarray:
@@ -200,14 +217,16 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 6, steps: int = 40
     function over the trainings, which are independent of each other."""
     if len(set(labels.tolist())) < 2:
         return None
-    docs = []
-    for a, b in blocks(texts):
-        ids, bounds = word_ids(texts[a:b])
-        docs += [ids[x:y] for x, y in zip(bounds, bounds[1:], strict=False)]
-    fold = folds_of(labels)
+    fold, sizes, packed = folds_of(labels), [len(t) for t in texts], zstandard.compress(b"".join(texts), 3)
 
     def one(k: int):
         """The model of all rows for k = FOLDS, else rows of fold k with logits and languages: none if the others lack a label."""
+        data, ends = zstandard.decompress(packed), np.cumsum(sizes).tolist()
+        texts = [data[b - n : b] for b, n in zip(ends, sizes, strict=True)]
+        docs = []
+        for a, b in blocks(texts):
+            ids, bounds = word_ids(texts[a:b])
+            docs += [ids[x:y] for x, y in zip(bounds, bounds[1:], strict=False)]
         own, train = np.flatnonzero(fold == k), np.flatnonzero(fold != k)
         if len(own) == 0 and k < FOLDS or len(set(labels[train].tolist())) < 2:
             return own[:0], np.zeros(0), np.zeros(0, int)
@@ -248,7 +267,9 @@ def fit_on(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS, modul
 
         return context.parallelize(which, len(which)).map(task).collect()
 
-    return fit(*labelled_sample(docs, labels, "toxic", modulus, remainder, per_class, id_col, text_col), each=in_tasks)
+    model = fit(*labelled_sample(docs, labels, "toxic", modulus, remainder, per_class, id_col, text_col), each=in_tasks)
+    give_back()
+    return model
 
 
 def apply_model(docs: DataFrame, model: ToxicityModel | None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
