@@ -16,7 +16,7 @@ from densekeys.functions.kernel import Functions, side_sizes
 from densekeys.plans.bucketing import choose_bits, prefix_sums
 from densekeys.plans.fingerprints import as_words, distinct_fingerprints, fingerprint, super_bucket, word_count
 from densekeys.plans.params import Params, family
-from densekeys.shared import written
+from densekeys.shared import forgotten, written
 
 VERSION = 1
 BUILT = "super long, n long, n_slots long, buckets binary, sizes binary, seeds binary, tries binary, labels binary, occupied binary"
@@ -130,6 +130,7 @@ def build_two_level(df: DataFrame, cols: str | list[str], params: Params = Param
         prints = written(distinct_fingerprints(fingerprint(rows, cols, params, attempt)), "fingerprints")
         totals = prints.agg(F.count(F.lit(1)).alias("n"), F.count_if("collided").alias("collided")).first()
         if totals["collided"]:
+            forgotten(prints)
             continue
         n = totals["n"]
         super_bits = max(0, math.ceil(math.log2(max(1, n) / params.super_keys)))
@@ -137,11 +138,14 @@ def build_two_level(df: DataFrame, cols: str | list[str], params: Params = Param
         dealt = prints.select(super_bucket(super_bits).alias("super"), "hi", "lo")
         built = written(dealt.groupBy("super").applyInArrow(group_builder(params, attempt, b), BUILT), "buckets")
         slots = built.agg(F.sum("n_slots").alias("slots"), F.min("n").alias("least")).first()
+        forgotten(prints)
         if (slots["least"] or 0) < 0:
+            forgotten(built)
             continue
         placed = prefix_sums(prefix_sums(built, "super", "n", "base"), "super", "n_slots", "slot_base")
         # lookups read what is written, not the two prefix sums again
         rows_out = written(placed.select(*[x.split()[0] for x in ARTIFACT.split(", ")]), "artifact")
+        forgotten(built)
         return Artifact(rows_out, params, n, slots["slots"] or 0, b, super_bits, attempt, attempt, cols)
     raise RuntimeError(f"no function found in {params.max_restarts + 1} attempts")
 

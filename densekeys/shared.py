@@ -19,3 +19,12 @@ def written(df: DataFrame, label: str) -> DataFrame:
     path = shared_path(spark, label)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def forgotten(*frames: DataFrame) -> None:
+    """Delete what `written` made of each, once nothing reads it any more."""
+    for frame in frames:
+        spark = frame.sparkSession
+        for folder in {f.rsplit("/", 1)[0] for f in frame.inputFiles()}:
+            place = spark._jvm.org.apache.hadoop.fs.Path(folder)
+            place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
