@@ -8,16 +8,23 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from densekeys.functions.encode import encode_key
-from densekeys.functions.hashing import ragged
 from densekeys.plans.params import Params, family
 
 SCHEMA = "hi long, lo long, check_word long"
 
 
+def key_bytes(keys: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """The bytes of a binary column as they lie in its buffers, and where each key begins (and the end)."""
+    if keys.type != pa.binary():
+        keys = keys.cast(pa.binary())
+    _, places, data = keys.buffers()
+    ends = np.frombuffer(places, np.int32)[keys.offset : keys.offset + len(keys) + 1].astype(np.int64) if len(keys) else np.zeros(1, np.int64)
+    return np.frombuffer(data, np.uint8) if data is not None and data.size else np.zeros(0, np.uint8), ends
+
+
 def words_of(keys: pa.Array, params: Params, attempt: int) -> np.ndarray:
     """32-bit words of binary keys (no nulls); a 96-bit family leaves the fourth word zero."""
-    data, ends = ragged(keys.to_pylist())
-    words = family(params, attempt).fingerprint(data, ends)
+    words = family(params, attempt).fingerprint(*key_bytes(keys))
     if params.gamma < 128:  # narrowed on purpose, to exercise restarts
         for k in range(words.shape[1]):
             keep = min(32, max(0, params.gamma - 32 * k))
@@ -55,9 +62,12 @@ def fingerprint(df: DataFrame, cols: list[str], params: Params, attempt: int) ->
     def run(batches):
         for batch in batches:
             hi, lo = as_longs(words_of(batch.column(0), params, attempt))
-            # repeated keys of the batch go before anything is shuffled
-            rows = np.unique(np.stack([hi, lo, batch.column(1).to_numpy()], axis=1), axis=0) if len(hi) else np.zeros((0, 3), np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(rows[:, k])) for k in range(3)], ["hi", "lo", "check_word"])
+            # repeated keys of the batch needn't leave the worker; equal ones lie together, but for words that agree in one half
+            order = np.argsort(hi, kind="stable")
+            rows = [x[order] for x in (hi, lo, batch.column(1).to_numpy())]
+            new = np.ones(len(hi), bool)
+            new[1:] = np.any([x[1:] != x[:-1] for x in rows], axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(x[new]) for x in rows], ["hi", "lo", "check_word"])
 
     return keys.select("key", F.xxhash64("key", F.lit(71)).alias("check_word")).mapInArrow(run, SCHEMA)
 

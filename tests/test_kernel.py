@@ -144,3 +144,18 @@ def test_steps_of_the_directory_may_differ_by_bucket(sizes, eps_rank):
     got = rank(packed(flags, sizes), words[bucket], entries, base[bucket], place, kappa[bucket])
     want = np.concatenate([np.cumsum(f) - f for f in np.split(flags.astype(int), np.cumsum(sizes)[:-1])])
     assert (got == want).all()
+
+
+@given(st.lists(st.binary(max_size=12), max_size=20), st.integers(0, 5))
+@settings(max_examples=40, deadline=None)
+def test_columns_are_hashed_as_they_lie(keys, skipped):
+    import pyarrow as pa
+
+    from densekeys.plans.fingerprints import key_bytes
+
+    column = pa.array([b"skipped"] * skipped + keys, pa.binary()).slice(skipped)
+    data, ends = key_bytes(column)
+    assert [data[a:b].tobytes() for a, b in zip(ends, ends[1:], strict=False)] == keys
+    for h in (LinearHash(2, 12), LinearHash(2, 12, sigma=16), MixingHash(2)):
+        if keys:
+            assert (h(data, ends) == h(*ragged(keys))).all()
