@@ -36,7 +36,7 @@ MAX_BODY = 1 << 28
 HIDDEN = ("script", "style", "noscript", "template")
 BREAKING = frozenset("p div br h1 h2 h3 h4 h5 h6 li ul ol tr table section article header footer nav title blockquote pre hr td th".split())
 ENDS = {name: re.compile(rf"</{name}\s*>", re.I) for name in (*HIDDEN, "title")} | {"!--": re.compile("-->")}
-TAG_NAME = re.compile(r"</?([a-zA-Z][a-zA-Z0-9]*)")
+OPENING = re.compile(r"<(?:(!--)|(/?)([a-zA-Z][a-zA-Z0-9]*)|[/!?])")
 HREF = re.compile(r"\bhref\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 CHUNK_SIZE = re.compile(rb"[0-9A-Fa-f]{1,16}")
 #: Fixed: codecs that aren't character sets of pages.
@@ -187,38 +187,34 @@ def read_page(page: str) -> Page:
             unended.add(name)
         return found
 
-    at = 0
-    while (left := page.find("<", at)) >= 0:
-        out.pieces.append(page[at:left])
-        if page.startswith("<!--", left) and (end := end_of("!--", left + 4)):
-            out.pieces.append(" ")
+    # no tag ends behind the last `>`, so every opening before it is followed by an end
+    at, last, pieces = 0, page.rfind(">") + 1, out.pieces
+    while found := OPENING.search(page, at, last):
+        left = found.start()
+        pieces.append(page[at:left])
+        comment, closing, name = found.groups()
+        if comment and (end := end_of("!--", found.end())):
+            pieces.append(" ")
             at = end.end()
             continue
-        follows = page[left + 1 : left + 2]
-        right = page.find(">", left) if follows and (follows in "/!?" or follows.isascii() and follows.isalpha()) else -1
-        if right < 0:
-            if follows and (follows in "/!?" or follows.isascii() and follows.isalpha()):
-                break  # no tag ends after here
-            out.pieces.append("<")
-            at = left + 1
-            continue
+        right = page.find(">", found.end())
         at = right + 1
-        found = TAG_NAME.match(page, left, right)
-        name = found.group(1).lower() if found else ""
+        if not name:
+            continue
+        name = name.lower()
         if name in BREAKING:
-            out.pieces.append("\n")
-        if follows == "/" or not name:
+            pieces.append("\n")
+        if closing:
             continue
-        if name in HIDDEN and (end := end_of(name, at)):
-            out.pieces.append(" ")
+        if name == "a":
+            if target := HREF.search(page, left, at):
+                out.links.append(target[target.lastindex])
+        elif name in HIDDEN and (end := end_of(name, at)):
+            pieces.append(" ")
             at = end.end()
         elif name == "title" and out.title is None and (end := end_of(name, at)):
             out.title = page[at : end.start()]
-        elif name == "a" and (target := HREF.search(page, left, right + 1)):
-            out.links.append(next(x for x in target.groups() if x is not None))
-    else:
-        left = at
-    out.pieces.append(page[left:])
+    pieces.append(page[at:])
     return out
 
 
