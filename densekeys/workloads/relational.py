@@ -105,8 +105,47 @@ def _inner(strategy: str):
     return run
 
 
-for _short, _hint in (("bhj", "broadcast"), ("shj", "shuffle_hash"), ("smj", "merge")):
+#: Rows whose hash table is sent whole; a larger side is sent in pieces.
+PIECE_ROWS = 1 << 20
+
+
+def broadcast_pieces(left: DataFrame, right: DataFrame, on: tuple[str, str], each: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """`each` of the broadcast hash join. A right side above PIECE_ROWS is sent piece after piece: both sides are written
+    once by a hash of their keys, of one type, every piece meets its own rows only, and what `each` makes of the pieces is written and read as one."""
+    spark = left.sparkSession
+    joined = lambda a, b: each(a.join(F.broadcast(b), F.col(on[0]) == F.col(on[1])))
+    pieces = -(-right.count() // PIECE_ROWS)
+    if pieces <= 1:
+        return joined(left, right)
+    if left.schema[on[0]].dataType != right.schema[on[1]].dataType:
+        raise ValueError("keys of two types do not hash alike")
+
+    def dealt(side: DataFrame, key: str) -> list[DataFrame]:
+        path = shared_path(spark, "side")
+        side = side.withColumn("_piece", F.pmod(F.xxhash64(key), F.lit(pieces)).cast("int"))
+        side.write.partitionBy("_piece").parquet(path)
+        kept = spark.read.schema(side.schema).parquet(path)
+        return [kept.where(F.col("_piece") == k).drop("_piece") for k in range(pieces)]
+
+    path, schema = shared_path(spark, "joined"), None
+    for a, b in zip(dealt(left, on[0]), dealt(right, on[1]), strict=True):
+        part = joined(a, b)
+        part.write.mode("append").parquet(path)
+        schema = part.schema
+    return spark.read.schema(schema).parquet(path)
+
+
+def op_join_inner_bhj(spark: SparkSession, sf_dir: str) -> DataFrame:
+    lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_quantity")
+    orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
+    found = broadcast_pieces(lines, orders, ("l_orderkey", "o_orderkey"), lambda df: df.groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n"), F.sum("l_quantity").alias("quantity")))
+    return found.groupBy("o_custkey").agg(F.sum("n").alias("n"), F.sum("quantity").alias("quantity"))
+
+
+QUERIES["op_join_inner_bhj"] = op_join_inner_bhj
+for _short, _hint in (("shj", "shuffle_hash"), ("smj", "merge")):
     QUERIES[f"op_join_inner_{_short}"] = _inner(_hint)
+for _short in ("bhj", "shj", "smj"):
     ORACLES[f"op_join_inner_{_short}"] = "SELECT o_custkey, count(*) AS n, sum(l_quantity) AS quantity FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_custkey"
 
 

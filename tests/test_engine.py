@@ -18,7 +18,7 @@ from densekeys.operators.apps import dense_join
 from densekeys.plans.build import build_core, build_two_level
 from densekeys.plans.evaluate import lookup, verify
 from densekeys.plans.params import Params, family
-from densekeys.workloads import registry
+from densekeys.workloads import registry, relational
 from densekeys.workloads.relational import TABLES
 
 @pytest.fixture(scope="module")
@@ -222,3 +222,18 @@ def test_runs_hold_all_values_in_order():
         assert sorted(np.concatenate(runs).tolist()) == sorted(values.tolist()) and all((r[1:] >= r[:-1]).all() for r in runs)
         lengths[name] = len(runs)
     assert lengths["radix"] == lengths["comparison"] == 20 and lengths["replacement"] < 14
+
+
+def test_a_large_side_is_sent_in_pieces(spark, small, duck, monkeypatch):
+    """No hash table of all orders is made; the driver held it whole."""
+    sent, broadcast = [], F.broadcast
+
+    def told(df):
+        sent.append(df.count())
+        return broadcast(df)
+
+    monkeypatch.setattr(relational.F, "broadcast", told)
+    monkeypatch.setattr(relational, "PIECE_ROWS", 200, raising=False)
+    got = registry.QUERIES["op_join_inner_bhj"](spark, small).toPandas()
+    assert canonical(got) == canonical(duck.execute(registry.ORACLES["op_join_inner_bhj"]).df())
+    assert len(sent) > 1 and max(sent) <= 400 and sum(sent) == 1500
