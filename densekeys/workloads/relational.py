@@ -200,8 +200,11 @@ def op_unpivot(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op_lateral_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The dearest orders of each customer, by a correlated subquery that Catalyst decorrelates."""
-    text = "SELECT c_custkey, o_orderkey FROM {customer}, LATERAL (SELECT o_orderkey FROM {orders} WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)"
+    """The dearest orders of each customer, by a correlated subquery that Catalyst decorrelates.
+
+    They are numbered in it: a decorrelated ORDER BY ... LIMIT takes any orders once a customer's come from several tasks."""
+    text = """SELECT c_custkey, o_orderkey FROM (SELECT DISTINCT c_custkey FROM {customer}), LATERAL (
+        SELECT o_orderkey FROM (SELECT o_orderkey, row_number() OVER (ORDER BY o_totalprice DESC, o_orderkey) AS k FROM {orders} WHERE o_custkey = c_custkey) WHERE k <= 2)"""
     return sql_query(text, "customer", "orders")(spark, sf_dir)
 
 

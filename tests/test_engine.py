@@ -237,3 +237,13 @@ def test_a_large_side_is_sent_in_pieces(spark, small, duck, monkeypatch):
     got = registry.QUERIES["op_join_inner_bhj"](spark, small).toPandas()
     assert canonical(got) == canonical(duck.execute(registry.ORACLES["op_join_inner_bhj"]).df())
     assert len(sent) > 1 and max(sent) <= 400 and sum(sent) == 1500
+
+
+def test_dearest_orders_are_numbered_by_price(spark, small, duck, tmp_path):
+    """A decorrelated ORDER BY ... LIMIT numbers the rows as they arrive from the exchange; and customers stand for themselves, however often they are listed."""
+    spark.read.parquet(f"{small}/orders.parquet").repartition(16).write.parquet(f"{tmp_path}/orders.parquet")
+    customers = spark.read.parquet(f"{small}/customer.parquet")
+    customers.union(customers).write.parquet(f"{tmp_path}/customer.parquet")
+    got = registry.QUERIES["op_lateral_topk"](spark, str(tmp_path))
+    assert "windowspecdefinition(o_custkey" in (plan := got._jdf.queryExecution().optimizedPlan().toString()) and "o_totalprice" in plan.split("windowspecdefinition")[1].split("specifiedwindowframe")[0]
+    assert canonical(got.toPandas()) == canonical(duck.execute(registry.ORACLES["op_lateral_topk"]).df())
