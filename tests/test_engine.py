@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__
 from densekeys.functions.encode import encode_key, encoded_string
+from densekeys.operators import graphs
 from densekeys.operators.apps import dense_join
 from densekeys.plans.build import build_core, build_two_level
 from densekeys.plans.evaluate import lookup, verify
@@ -247,3 +248,15 @@ def test_dearest_orders_are_numbered_by_price(spark, small, duck, tmp_path):
     got = registry.QUERIES["op_lateral_topk"](spark, str(tmp_path))
     assert "windowspecdefinition(o_custkey" in (plan := got._jdf.queryExecution().optimizedPlan().toString()) and "o_totalprice" in plan.split("windowspecdefinition")[1].split("specifiedwindowframe")[0]
     assert canonical(got.toPandas()) == canonical(duck.execute(registry.ORACLES["op_lateral_topk"]).df())
+
+
+def test_long_paths_and_big_graphs_are_contracted_in_few_rounds(spark, monkeypatch):
+    """A path of 300 whose numbers only rise, a star, a loop and a pair; one round wrote three cuts, and each moved labels by a few links."""
+    rows = [(k, k + 1) for k in range(300)] + [(1000, 1000 + k) for k in range(1, 50)] + [(2000, 2000), (3001, 3000), (3000, 3001), (5, 5)]
+    monkeypatch.setattr(graphs, "LOCAL_LINKS", 20, raising=False)
+    rounds, write = [], graphs.written
+    monkeypatch.setattr(graphs, "written", lambda df, label: rounds.append(label) or write(df, label))
+    got = {r.vertex: r.component for r in graphs.components(spark.createDataFrame(rows, "a long, b long")).collect()}
+    want = {k: 0 for k in range(301)} | {k: 1000 for k in range(1000, 1050)} | {2000: 2000, 3000: 3000, 3001: 3000}
+    assert got == want
+    assert 0 < rounds.count("moves") < 20
