@@ -261,3 +261,11 @@ def test_long_paths_and_big_graphs_are_contracted_in_few_rounds(spark, monkeypat
     want = {k: 0 for k in range(301)} | {k: 1000 for k in range(1000, 1050)} | {2000: 2000, 3000: 3000, 3001: 3000}
     assert got == want
     assert 0 < rounds.count("moves") < 20
+
+
+READING = ["acyclic_prob_table"]
+
+
+@pytest.mark.parametrize("name", READING)
+def test_closed_forms_are_of_a_given_table(spark, small, name):
+    assert registry.QUERIES[name](spark, small).inputFiles()
