@@ -263,7 +263,7 @@ def test_long_paths_and_big_graphs_are_contracted_in_few_rounds(spark, monkeypat
     assert 0 < rounds.count("moves") < 20
 
 
-READING = ["acyclic_prob_table", "ci95_table", "collision_bound_table", "eval_ops", "eval_ratio_table", "fixed_cost", "gf2_example", "independence_table", "io_model", "kappa_bits"]
+READING = ["acyclic_prob_table", "ci95_table", "collision_bound_table", "eval_ops", "eval_ratio_table", "fixed_cost", "gf2_example", "independence_table", "io_model", "kappa_bits", "memory_words_table"]
 
 
 @pytest.mark.parametrize("name", READING)
