@@ -596,3 +596,24 @@ def test_labels_of_held_out_rows_are_not_learnt(spark, small):
     turned = labels.withColumn("toxic", F.when(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, 1 - F.col("toxic")).otherwise(F.col("toxic")))
     a, b = ({r["doc_id"]: r["score"] for r in toxicity.score_documents(docs, x).collect()} for x in (labels, turned))
     assert a == b
+
+
+def test_memory_is_returned_once_a_step_has_ended(monkeypatch):
+    """Idle workers kept what their last group had taken, beside those of the next stage."""
+    import weakref
+
+    from densekeys.llm import common
+
+    class Held:
+        pass
+
+    refs, gone = [], []
+
+    def step(x):
+        held = Held()
+        refs.append(weakref.ref(held))
+        return x + 1
+
+    monkeypatch.setattr(common, "give_back", lambda: gone.append(refs[0]() is None))
+    assert common.giving_back(step, 1) == 2
+    assert gone == [True]
